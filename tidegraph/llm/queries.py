@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidegraph.llm import language_id, lz_fingerprint, ngram_lm, pareto_mix, robust_quality, sentence_pieces, substring_dedup, url_rules, warc
+from tidegraph.llm import language_id, lz_fingerprint, ngram_join, ngram_lm, pareto_mix, robust_quality, sentence_pieces, substring_dedup, url_rules, warc
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 HOST_RULES = (("net/", "block"), ("example.net/en/", "allow"), ("example.com/de/", "block"), ("org/fr/", "allow"))
@@ -42,6 +42,10 @@ def op4_url_rules(spark, sf_dir):
     return url_rules.judge(pages(spark, sf_dir), RULES).drop("candidates")
 
 
+def op5_ngram_jaccard(spark, sf_dir):
+    return ngram_join.similar_groups(documents(spark, sf_dir), k=4, percent=85).drop("first")
+
+
 def op6_lz_fingerprint(spark, sf_dir):
     return lz_fingerprint.fingerprints(documents(spark, sf_dir))
 

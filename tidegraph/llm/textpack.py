@@ -148,3 +148,28 @@ def pieces(batches, column: str, limit: int = 2_000_000):
             b = max(a + 1, int(np.searchsorted(offs, offs[a] + limit, side="right")) - 1)
             yield batch.slice(a, b - a)
             a = b
+
+
+def shingle_sets(w: Words, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(document, hash) of each document's distinct k-word windows, sorted; with fewer words the whole sequence is the one window."""
+    h, at = windows(w, k)
+    doc = w.doc[at]
+    short = np.flatnonzero((w.counts > 0) & (w.counts < k))
+    if len(short):
+        g = np.zeros(len(w.hashes) + 1, np.uint64)
+        fwd, back = powers(len(w.hashes) + 1)
+        np.cumsum(w.hashes * fwd[:-1], out=g[1:])
+        a, b = w.woff[short], w.woff[short + 1]
+        h = np.concatenate([h, mix((g[b] - g[a]) * back[a] + (b - a).astype(np.uint64))])
+        doc = np.concatenate([doc, short])
+    order = by_doc(np.argsort(h), doc)
+    h, doc = h[order], doc[order]
+    first = np.append(True, (h[1:] != h[:-1]) | (doc[1:] != doc[:-1]))[: len(h)]
+    return doc[first], h[first]
+
+
+def by_doc(order: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """A stable sort of `order` by document; radix sort where document numbers fit 16 bits."""
+    own = doc[order]
+    small = own.astype(np.uint16) if len(own) and own.max() < 65536 else own
+    return order[np.argsort(small, kind="stable")]
