@@ -36,7 +36,7 @@ def with_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int |
     row = docs.agg(F.sum(size).alias("b"), F.percentile_approx(key, F.array(*map(F.lit, shares)), F.lit(20000)).alias("q"), F.min(key).alias("lo"), F.max(key).alias("hi")).first()
     total = row["b"] or 0
     if block_bytes is None:  # more than a few thousand blocks only when each is large
-        block_bytes = int(min(256e6, max(4e6, total / 4000)))
+        block_bytes = int(min(64e6, max(2e6, total / 4000)))
     n = max(1, math.ceil(total / block_bytes))
     if n == 1 or row["q"] is None:
         return docs.withColumn("_block", F.lit(0).cast("long")), 1
