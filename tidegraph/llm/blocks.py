@@ -57,7 +57,24 @@ def part_edges(keys: np.ndarray, parts: int) -> np.ndarray:
     return np.append(np.searchsorted(keys, firsts), len(keys))
 
 
-def requests(block: int, sets: dict[int, tuple[np.ndarray, np.ndarray | None]], parts: int) -> pa.Table:
+def short_keys(parts: int) -> np.uint64:
+    """The bits of a hash that a five-byte key keeps: its part's (a power of two of them) and 40 more. Keys that agree on them count as one."""
+    return U((1 << 64) - (1 << max(0, 24 - (parts.bit_length() - 1))))
+
+
+def _packed(keys: np.ndarray, parts: int) -> bytes:
+    return ((keys << U(parts.bit_length() - 1)) >> U(24)).view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
+
+
+def _unpacked(raw: bytes, width: int) -> np.ndarray:
+    if width == 8:
+        return np.frombuffer(raw, np.uint64)
+    out = np.zeros((len(raw) // width, 8), np.uint8)
+    out[:, :width] = np.frombuffer(raw, np.uint8).reshape(-1, width)
+    return out.view(np.uint64).ravel()
+
+
+def requests(block: int, sets: dict[int, tuple[np.ndarray, np.ndarray | None]], parts: int, width: int = 8) -> pa.Table:
     """sets: kind -> (sorted distinct keys, values aligned with them or None)."""
     rows = {"part": [], "block": [], "kind": [], "keys": [], "extra": []}
     for kind, (keys, extra) in sets.items():
@@ -67,12 +84,12 @@ def requests(block: int, sets: dict[int, tuple[np.ndarray, np.ndarray | None]],
             rows["part"].append(int(p))
             rows["block"].append(block)
             rows["kind"].append(kind)
-            rows["keys"].append(keys[a:b].tobytes())
+            rows["keys"].append(keys[a:b].tobytes() if width == 8 else _packed(keys[a:b], parts))
             rows["extra"].append(b"" if extra is None else extra[a:b].tobytes())
     return pa.table({k: pa.array(v, t) for (k, v), t in zip(rows.items(), (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary()), strict=True)})
 
 
-def _combined(table: pa.Table, answer: Callable) -> pa.Table:
+def _combined(table: pa.Table, answer: Callable, width: int) -> pa.Table:
     block, kind = table["block"].to_numpy(), table["kind"].to_numpy()
     out = {"block": [], "kind": [], "part": [], "answer": []}
     part = table["part"][0].as_py()
@@ -80,7 +97,7 @@ def _combined(table: pa.Table, answer: Callable) -> pa.Table:
     for k in np.unique(kind):
         rows = np.flatnonzero(kind == k)
         rows = rows[np.argsort(block[rows], kind="stable")]
-        own = [np.frombuffer(keys[int(r)].as_py(), np.uint64) for r in rows]
+        own = [_unpacked(keys[int(r)].as_py(), width) for r in rows]
         sizes = np.array([len(x) for x in own])
         first_rows = np.repeat(np.arange(len(rows)), sizes)
         _, first, inverse = np.unique(np.concatenate(own), return_index=True, return_inverse=True)
@@ -110,17 +127,18 @@ def earlier(blocks, owner, first, inverse, given, starts, ends):
         yield np.uint32(len(at)).tobytes() + at.astype(np.uint32).tobytes() + blocks[home[a:b][at]].astype(np.int64).tobytes() if len(at) else None
 
 
-def exchange(blocked: DataFrame, ask: Callable[[pa.Table], dict], answer: Callable, finish: Callable, schema: str, parts: int) -> DataFrame:
+def exchange(blocked: DataFrame, ask: Callable[[pa.Table], dict], answer: Callable, finish: Callable, schema: str, parts: int, width: int = 8) -> DataFrame:
     """ask(block's rows) -> kind -> keys; answer: sums or earlier; finish(rows, replies) -> pa.Table of schema.
 
-    finish gets replies as kind -> part -> bytes.
+    finish gets replies as kind -> part -> bytes. width 5: keys are sent in five bytes; the caller has masked
+    them by short_keys(parts), parts being a power of two.
     """
 
     def asked(table: pa.Table) -> pa.Table:
-        return requests(table["_block"][0].as_py(), ask(table), parts)
+        return requests(table["_block"][0].as_py(), ask(table), parts, width)
 
     def replied(table: pa.Table) -> pa.Table:
-        return _combined(table, answer)
+        return _combined(table, answer, width)
 
     def finished(rows: pa.Table, replies: pa.Table) -> pa.Table:
         said: dict[int, dict[int, bytes]] = {}

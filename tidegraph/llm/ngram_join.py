@@ -10,7 +10,8 @@ documents, stand in the index and pass the size and position filters, and group
 members that are verified on whole sets.
 
 Only components are asked for, so a group of near copies is not expanded into all pairs. First, stars:
-in each index list and band of sizes the others are held against one pivot, and in each group its members
+in each index list and band of sizes the others are held against one pivot (the one with the fewest
+shingles of its own), and in each group its members
 against the first. What these links join needs no more checks. Then, exactly the rest: in every
 list that still has several components, the members outside its largest one are held against all
 of other components. Every pair that passes the filters is so either verified or already connected.
@@ -29,12 +30,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tidegraph.functions.session import cut, stored
-from tidegraph.llm.blocks import exchange, sums, totals_of, with_blocks
+from tidegraph.llm.blocks import exchange, short_keys, sums, totals_of, with_blocks
 from tidegraph.llm.textpack import U, by_doc, mix, per_doc, shingle_sets, words_of
 from tidegraph.operators.baselines import hook_contract_components
 from tidegraph.operators.primitives import all_of
 
-PIVOTS = 4
 LOCAL = 20_000
 
 
@@ -43,17 +43,19 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
     picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     blocked, blocks = with_blocks(picked, "_id", "_text", block_bytes)
     id_type = picked.schema["_id"].dataType.simpleString()
-    schema = f"rid long, _id {id_type}, n long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>"
+    parts = 1 << (max(1, blocks // 2) - 1).bit_length()
+    mask = short_keys(parts)  # keys taken for one another make frequencies larger, never smaller: only the index grows
+    schema = f"rid long, _id {id_type}, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>"
 
     def ask(table: pa.Table) -> dict:
         _, h = shingle_sets(words_of(table["_text"], fold), k)
-        keys, counts = np.unique(h, return_counts=True)
+        keys, counts = np.unique(h & mask, return_counts=True)
         return {0: (keys, counts.astype(np.uint32))}
 
     def finish(table: pa.Table, said: dict) -> pa.Table:
         rows = table.num_rows
         doc, h = shingle_sets(words_of(table["_text"], fold), k)
-        _, inverse = np.unique(h, return_inverse=True)
+        _, inverse = np.unique(h & mask, return_inverse=True)
         df = totals_of(said.get(0, {}))[inverse] if len(h) else np.zeros(0, np.uint64)
         offs = np.searchsorted(doc, np.arange(rows + 1))
         n = np.diff(offs)
@@ -61,6 +63,7 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
         order = by_doc(np.argsort(np.minimum(df, 65535).astype(np.uint16), kind="stable"), doc)
         rare, times = h[order], df[order]
         place = np.arange(len(h)) - np.repeat(offs[:-1], n)
+        common = per_doc((times >= 2).astype(np.int64), offs)  # the most shingles it can share
         inside = place < np.repeat(n + (-percent * n) // 100 + 1, n)
         gid = add(np.where(inside, mix(rare), U(0))) + mix(n.astype(np.uint64))
         index = inside & (times >= 2)
@@ -70,11 +73,11 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
         lists = lambda at, values: pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), values)
         signed = lambda x: pa.array(x.astype(np.uint64).view(np.int64))
         block = table["_block"][0].as_py() if rows else 0
-        cols = [pa.array((block << 28) + np.arange(rows)), table["_id"], pa.array(n), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
-        cols += [lists(found, signed(rare[index])), lists(found, pa.array(place[index].astype(np.int32))), lists(kept, signed(h[full]))]
-        return pa.Table.from_arrays(cols, names=["rid", "_id", "n", "sig1", "sig2", "gid", "tokens", "places", "shingles"])
+        cols = [pa.array((block << 28) + np.arange(rows)), table["_id"], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
+        cols += [lists(found, signed(rare[index])), lists(found, pa.array((place - np.repeat(n - common, n))[index].astype(np.int32))), lists(kept, signed(h[full]))]
+        return pa.Table.from_arrays(cols, names=["rid", "_id", "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles"])
 
-    return exchange(blocked, ask, sums, finish, schema, max(1, blocks // 2))
+    return exchange(blocked, ask, sums, finish, schema, parts, 5)
 
 
 def _needed(a: Column, b: Column, percent: int) -> Column:
@@ -83,9 +86,9 @@ def _needed(a: Column, b: Column, percent: int) -> Column:
 
 
 def _may_link(x: str, y: str, percent: int) -> Column:
-    """Size and position filters for prefix entries with columns n and place under two aliases."""
-    nx, ny, px, py = F.col(f"{x}.n"), F.col(f"{y}.n"), F.col(f"{x}.place"), F.col(f"{y}.place")
-    most = F.least(px, py) + 1 + F.least(nx - px - 1, ny - py - 1)
+    """Size and position filters for prefix entries under two aliases: n, a (shingles that other documents have too), place among these."""
+    nx, ny, ax, ay, px, py = (F.col(f"{s}.{c}") for c in ("n", "a", "place") for s in (x, y))
+    most = F.least(px, py) + 1 + F.least(ax - px - 1, ay - py - 1)
     return (100 * F.least(nx, ny) >= percent * F.greatest(nx, ny)) & (most >= _needed(nx, ny, percent))
 
 
@@ -107,13 +110,13 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     spare = some.join(classes.where("copies > 1").select("sig1", "sig2", "rep"), ["sig1", "sig2"]).where("rid <> rep").select("rid")
     indexed = sets.where(F.size("tokens") > 0)
     members = cut(indexed.select("rid", "gid").join(spare, "rid", "left_anti"))  # one a class
-    entries = indexed.select("rid", "gid", "n", F.posexplode("tokens").alias("_i", "token"), "places").select("rid", "gid", "n", "token", F.col("places")[F.col("_i")].alias("place"))
+    entries = indexed.select("rid", "gid", "n", "a", F.posexplode("tokens").alias("_i", "token"), "places").select("rid", "gid", "n", "a", "token", F.col("places")[F.col("_i")].alias("place"))
     entries = stored(entries.join(spare, "rid", "left_anti"), "prefix-entries")
 
-    groups = entries.groupBy("token", "gid", "n", "place").agg(F.min("rid").alias("lead"))
+    groups = entries.groupBy("token", "gid", "n", "a", "place").agg(F.min("rid").alias("lead"))
     band = F.floor(F.ln(F.col("n")) / F.lit(0.1))
     lists = groups.withColumn("band", band)
-    pivots = lists.groupBy("token", "band").agg(F.min(F.struct(F.xxhash64("gid", F.pmod("token", F.lit(PIVOTS))).alias("h"), "gid", "n", "place", "lead")).alias("p"), F.count("*").alias("c")).where("c > 1").select("token", "band", "p.gid", "p.n", "p.place", "p.lead")
+    pivots = lists.groupBy("token", "band").agg(F.min(F.struct((F.col("n") - F.col("a")).alias("own"), F.xxhash64("gid").alias("h"), "gid", "n", "a", "place", "lead")).alias("p"), F.count("*").alias("c")).where("c > 1").select("token", "band", "p.gid", "p.n", "p.a", "p.place", "p.lead")
     star = lists.alias("x").join(pivots.alias("y"), ["token", "band"]).where((F.col("x.lead") != F.col("y.lead")) & _may_link("x", "y", percent))
     star = star.select(F.least("x.lead", "y.lead").alias("u"), F.greatest("x.lead", "y.lead").alias("v"))
     leads = members.groupBy("gid").agg(F.min("rid").alias("u"))
@@ -121,7 +124,7 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     first = _verified(star.unionByName(inner).distinct(), sets, percent)
 
     near = hook_contract_components(first, local_arcs=LOCAL).labels.select(F.col("vertex").alias("rid"), F.col("component").alias("comp"))
-    placed = cut(entries.join(near, "rid", "left").groupBy("token", "gid", "n", "place", F.coalesce("comp", "rid").alias("comp")).agg(F.lit(1).alias("_one")).drop("_one"))
+    placed = cut(entries.join(near, "rid", "left").groupBy("token", "gid", "n", "a", "place", F.coalesce("comp", "rid").alias("comp")).agg(F.lit(1).alias("_one")).drop("_one"))
     shares = placed.groupBy("token", "comp").agg(F.count("*").alias("c"))
     main = shares.groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("token", "main")
     mixed = cut(placed.join(main, "token"))
