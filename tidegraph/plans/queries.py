@@ -1,9 +1,312 @@
-"""Registered graph queries and their SQL oracles."""
+"""Registered graph queries: (spark, sf_dir) -> DataFrame, and the SQL that gives the same rows."""
 
+from __future__ import annotations
 
-def queries() -> dict:
-    return {}
+from collections.abc import Callable
+from dataclasses import replace
 
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-def oracle_sql() -> dict:
-    return {}
+from tidegraph.functions import sqlapi
+from tidegraph.functions.ids import encode_ids, tag
+from tidegraph.functions.session import cut
+from tidegraph.operators import baselines as B
+from tidegraph.operators import cycles, levels, measures, shrink
+from tidegraph.operators import primitives as P
+from tidegraph.operators.connect import EngineConfig, boosted_components, connected_components
+from tidegraph.operators.levels import LevelConfig
+from tidegraph.plans import graphs as G
+from tidegraph.plans import oracles as O
+
+Query = Callable[[SparkSession, str], DataFrame]
+_found: dict[str, Query] = {}
+_sql: dict[str, str] = {}
+SMALL = EngineConfig(local_finish_arcs=1000)
+
+
+def add(name: str, run: Query, sql: str | None) -> None:
+    _found[name] = run
+    if sql:
+        _sql[name] = sql
+
+
+def labels_of(edges: DataFrame, cfg: EngineConfig = SMALL, vertices: DataFrame | None = None) -> DataFrame:
+    return connected_components(edges, vertices, cfg).labels
+
+
+# ---- components of the graphs ------------------------------------------------------------------
+for name, build, sql in (
+    ("geo_forest", G.geo_forest, O.GEO), ("part_supplier", G.part_supplier, O.PART_SUPPLIER), ("customer_supplier", G.customer_supplier, O.CUSTOMER_SUPPLIER),
+    ("order_part", G.order_part, O.order_part()), ("user_paths", G.user_paths, O.USER_PATHS), ("conversations", G.conversation_turns, O.CONVERSATIONS),
+    ("document_copies", G.document_copies, O.COPIES), ("document_lines", G.document_lines, O.LINES), ("user_user", G.user_user, O.USER_USER), ("caterpillar", G.caterpillar, O.CATERPILLAR),
+    ("embedding_knn1", G.embedding_neighbors, O.KNN1), ("user_cliques", G.user_cliques, O.CLIQUES), ("cooccurrence", G.cooccurrence, O.COOCCUR),
+):
+    add(f"cc_{name}", lambda s, d, build=build: labels_of(build(s, d)), O.components(sql))
+for q in (1, 2, 3, 5, 8):
+    add(f"cc_order_part_q{q}", lambda s, d, q=q: labels_of(G.order_part(s, d, q)), O.components(O.order_part(q)))
+for rings, name in ((1, "one_cycle"), (2, "two_cycles")):
+    add(f"cc_{name}", lambda s, d, rings=rings: labels_of(G.event_ring(s, d, rings)), O.rings(rings))
+    add(f"cycles_{name}", lambda s, d, rings=rings: s.createDataFrame([(cycles.one_or_two_cycles(G.event_ring(s, d, rings), 256)[0],)], "cycles long"), f"SELECT CAST({rings} AS BIGINT) AS cycles")
+
+
+def orders_as_vertices(s: SparkSession, d: str) -> DataFrame:
+    return G.table(s, d, "orders").select(tag(F.col("o_orderkey"), "order").alias("vid"))
+
+
+add("cc_with_isolated", lambda s, d: labels_of(G.order_part(s, d, 2), vertices=orders_as_vertices(s, d)), O.components(O.order_part(2), "SELECT CAST(o_orderkey AS BIGINT) * 8 FROM orders"))
+
+
+def page_links(s: SparkSession, d: str) -> DataFrame:
+    edges, names = encode_ids(G.page_links(s, d))
+    labels = labels_of(edges)
+    a, b = (names.select(F.col("id").alias(f"_{c}"), F.col("key").alias(c)) for c in ("name", "component_name"))
+    return labels.join(a, F.col("vertex") == F.col("_name")).join(b, F.col("component") == F.col("_component_name")).select("name", "component_name")
+
+
+add("cc_page_links", page_links, O.PAGE_COMPONENTS)
+
+# ---- variants of the method, and the baselines, on one graph ----------------------------------
+Q3 = O.components(O.order_part(3))
+
+
+def q3(s: SparkSession, d: str) -> DataFrame:
+    return G.order_part(s, d, 3)
+
+
+BASE = LevelConfig(leader_rate=0.3)
+for name, cfg in (
+    ("paper_budget", LevelConfig()), ("beta2", replace(BASE, beta0=2)), ("beta4", replace(BASE, beta0=4)), ("beta8", replace(BASE, beta0=8)), ("beta32", replace(BASE, beta0=32)),
+    ("rule_mpc", replace(BASE, beta0=4, rule="mpc")), ("rule_skip_lifted", replace(BASE, beta0=4, rule="skip_lifted")), ("retire_off", replace(BASE, beta0=8, retire_cliques=False)), ("hashed_pick", replace(BASE, beta0=8, pick="hash")),
+):
+    add(f"cc_levels_{name}", lambda s, d, cfg=cfg: levels.budgeted_components(q3(s, d), cfg=cfg).labels, Q3)
+add("cc_shrink_only", lambda s, d: B.shrink_only_components(q3(s, d)).labels, Q3)
+add("cc_shrink_then_levels", lambda s, d: connected_components(q3(s, d), cfg=EngineConfig(local_finish_arcs=0, shrink_to=400, levels=replace(BASE, beta0=4))).labels, Q3)
+add("cc_boosted", lambda s, d: boosted_components(q3(s, d), 2, replace(BASE, beta0=8)).labels, Q3)
+add("base_exponentiation", lambda s, d: B.exponentiation_components(q3(s, d)).labels, Q3)
+add("base_uniform_degree", lambda s, d: B.uniform_degree_components(q3(s, d)).labels, Q3)
+add("base_matrix_squaring", lambda s, d: B.matrix_squaring_components(q3(s, d)).labels, Q3)
+add("base_hook_contract_conditional", lambda s, d: B.hook_contract_components(q3(s, d)).labels, Q3)
+add("base_hook_contract_star", lambda s, d: B.hook_contract_components(q3(s, d), variant="star").labels, Q3)
+add("base_random_mate", lambda s, d: B.random_mate_components(q3(s, d)).labels, Q3)
+add("base_random_mate_bounded", lambda s, d: B.random_mate_components(G.order_part(s, d, 1), bounded=True).labels, O.components(O.order_part(1)))
+add("base_random_mate_shrink", lambda s, d: connected_components(q3(s, d), cfg=replace(SMALL, shrink="random_mate")).labels, Q3)
+add("base_label_flood", lambda s, d: B.label_flood_components(q3(s, d)).labels, Q3)
+add("base_local", lambda s, d: B.local_components(q3(s, d)).labels, Q3)
+
+
+# ---- single steps on the geography forest with preset levels -----------------------------------
+def preset(s: SparkSession, d: str, beta0: float = 4.0) -> levels.State:
+    state = levels.init_state(G.geo_forest(s, d), cfg=LevelConfig(beta0=beta0, coin="md5", leader_rate=0.3))
+    state.verts = cut(state.verts.select("vid", (F.floor(F.col("vid") / 8) % 3).cast("int").alias("level"), "active"))
+    return state
+
+
+def leveled(state: levels.State) -> DataFrame:
+    return P.with_levels(state.arcs, state.verts)
+
+
+def sat(state: levels.State, spread: bool = True) -> DataFrame:
+    lv = cut(leveled(state))
+    direct = levels.saturated_direct(state, lv)
+    return levels.saturated_spread(lv, direct) if spread else direct
+
+
+def step_leaders(s, d):
+    state = preset(s, d, 2.0)
+    return levels.draw_leaders(state, sat(state))
+
+
+def step_two_hops(s, d):
+    state = preset(s, d, 2.0)
+    return levels.leader_within_two_hops(leveled(state), levels.draw_leaders(state, sat(state)))
+
+
+add("step_init", lambda s, d: levels.init_state(G.geo_forest(s, d)).verts, O.graph(O.GEO) + "SELECT DISTINCT src AS vid, CAST(0 AS INTEGER) AS level, TRUE AS active FROM arcs")
+add("step_h_candidates", lambda s, d: levels.same_level_two_hop(leveled(preset(s, d))), O.graph(O.GEO) + "SELECT DISTINCT a.dst AS v, b.dst AS u FROM lev a JOIN lev b ON a.src = b.src AND a.dst <> b.dst WHERE a.sl = a.dl AND b.sl = b.dl AND NOT EXISTS (SELECT 1 FROM arcs x WHERE x.src = a.dst AND x.dst = b.dst)")
+add("step_degree_at_or_above", lambda s, d: levels.degree_at_or_above(leveled(preset(s, d))), O.graph(O.GEO) + "SELECT src, count(*) FILTER (dl >= sl) AS d FROM lev GROUP BY src")
+add("step_link_first_iteration", lambda s, d: levels.link_two_hops(levels.init_state(G.geo_forest(s, d), cfg=LevelConfig(beta0=4))), O.LINK)
+add("step_lift_preset_levels", lambda s, d: levels.lift_moves(leveled(preset(s, d))), O.graph(O.GEO) + "SELECT src AS old, arg_min(dst, (-dl, dst)) AS new FROM lev WHERE dl > sl GROUP BY src")
+add("step_saturated", lambda s, d: sat(preset(s, d), False), O.SATURATED + "SELECT v, level FROM direct")
+add("step_saturated_spread", lambda s, d: sat(preset(s, d)), O.SATURATED + "SELECT v, level FROM spread")
+add("step_leader_coin_md5", step_leaders, O.LEADERS + "SELECT v, level FROM leaders")
+add("step_leader_two_hops", step_two_hops, O.LEADERS + O.TWO_HOPS)
+add("step_contract", lambda s, d: P.contract(P.symmetrize(G.geo_forest(s, d)), levels.lift_moves(leveled(preset(s, d)))), O.graph(O.GEO) + ", mv AS (SELECT src AS old, arg_min(dst, (-dl, dst)) AS new FROM lev WHERE dl > sl GROUP BY src) SELECT DISTINCT coalesce(x.new, src) AS src, coalesce(y.new, dst) AS dst FROM arcs LEFT JOIN mv x ON x.old = src LEFT JOIN mv y ON y.old = dst WHERE coalesce(x.new, src) <> coalesce(y.new, dst)")
+add("step_clique_test", lambda s, d: levels.clique_components(P.symmetrize(q3(s, d))).where("is_clique").select("mu", "size"), O.CLIQUE_TEST)
+
+
+def chain(s: SparkSession, times: int) -> DataFrame:
+    """Three vertices on levels 0, 1, 2 in a row, lifted `times` times: members of each vertex that is left."""
+    arcs = cut(P.symmetrize(s.createDataFrame([(1, 2), (2, 3)], "u long, v long")))
+    verts = cut(s.createDataFrame([(1, 0, True), (2, 1, True), (3, 2, True)], "vid long, level int, active boolean"))
+    state = levels.State(arcs, verts, levels.plan_budget(3, 2, LevelConfig(beta0=4)), LevelConfig(beta0=4))
+    members = verts.select(F.col("vid").alias("orig"), F.col("vid").alias("rep"))
+    for _ in range(times):
+        arcs, verts, moves = levels.lift_to_higher_level(state)
+        members = cut(P.apply_moves(members, moves))
+        state = replace(state, arcs=arcs, verts=verts)
+    return members
+
+
+add("step_lift_chain_1", lambda s, d: chain(s, 1), "SELECT * FROM (VALUES (1::BIGINT, 2::BIGINT), (2, 3), (3, 3)) t(orig, rep)")
+add("step_lift_chain_2", lambda s, d: chain(s, 2), "SELECT * FROM (VALUES (1::BIGINT, 3::BIGINT), (2, 3), (3, 3)) t(orig, rep)")
+
+
+def picks(s: SparkSession, d: str) -> DataFrame:
+    return shrink.pick_min_neighbor(P.symmetrize(G.order_part(s, d, 5)))
+
+
+def untangled(s: SparkSession, d: str) -> DataFrame:
+    return cut(shrink.cut_hub_out(shrink.break_mutual(cut(picks(s, d)))))
+
+
+add("shrink_pick_min", picks, O.PICKS + "SELECT tail, head FROM p1")
+add("shrink_break_mutual", lambda s, d: shrink.break_mutual(picks(s, d)), O.PICKS + "SELECT tail, head FROM p2")
+add("shrink_cut_hub_out", untangled, O.PICKS + "SELECT tail, head FROM p3")
+add("shrink_merge_stars", lambda s, d: shrink.merge_stars(untangled(s, d))[0], O.PICKS + "SELECT tail AS old, head AS new FROM star")
+add("shrink_thin_md5", lambda s, d: shrink.thin(shrink.merge_stars(untangled(s, d))[1], 0, kind="md5"), O.PICKS + "SELECT tail, head FROM thin")
+add("shrink_isolated", lambda s, d: shrink.merge_isolated(shrink.thin(shrink.merge_stars(untangled(s, d))[1], 0, kind="md5")), O.PICKS + "SELECT tail AS old, head AS new FROM lone")
+add("shrink_once_md5", lambda s, d: shrink.shrink_once(cut(P.symmetrize(G.order_part(s, d, 5))), 0, kind="md5")[0], O.PICKS + ", mv AS (SELECT tail AS old, head AS new FROM star UNION ALL SELECT tail, head FROM lone) SELECT DISTINCT coalesce(x.new, src) AS src, coalesce(y.new, dst) AS dst FROM arcs LEFT JOIN mv x ON x.old = src LEFT JOIN mv y ON y.old = dst WHERE coalesce(x.new, src) <> coalesce(y.new, dst)")
+add("cycle_cut_md5", lambda s, d: cycles.kept_edges(s.range(1000).select(F.col("id").alias("u"), ((F.col("id") + 1) % 1000).alias("v")), 1000, 64, 0, "md5"), O.CYCLE_CUT)
+
+# ---- primitives ---------------------------------------------------------------------------------
+T = G.table
+add("prim_sort", lambda s, d: P.sort_tuples(T(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey"), "l_orderkey", "l_linenumber").where("l_linenumber = 1"), "SELECT l_orderkey, l_linenumber, l_partkey FROM lineitem WHERE l_linenumber = 1 ORDER BY 1, 2")
+add("prim_filter_compact", lambda s, d: P.filter_compact(T(s, d, "orders").select("o_orderkey", "o_custkey"), F.col("o_custkey") % 3 == 0, "o_orderkey"), "SELECT o_orderkey, o_custkey, row_number() OVER (ORDER BY o_orderkey) - 1 AS index FROM orders WHERE o_custkey % 3 = 0")
+for op in ("sum", "min", "max", "count"):
+    agg = f"CAST(coalesce({op}(o_custkey) OVER (ORDER BY o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT)" if op in ("sum", "count") else f"{op}(o_custkey) OVER (ORDER BY o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)"
+    add(f"prim_prefix_{op}", lambda s, d, op=op: P.prefix(T(s, d, "orders").select("o_orderkey", "o_custkey"), "o_orderkey", "o_custkey", op), f"SELECT o_orderkey, o_custkey, {agg} AS prefix FROM orders")
+add("prim_predecessor", lambda s, d: P.predecessor(T(s, d, "events").select("event_id", "user_id", "ts", (F.col("event_id") % 3 == 0).cast("int").alias("flag")), "user_id", ["ts", "event_id"], "flag", "event_id").select("event_id", "before"), "SELECT event_id, last_value(CASE WHEN event_id % 3 = 0 THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before FROM events")
+add("prim_dedupe_sorted", lambda s, d: P.dedupe_sorted(T(s, d, "lineitem"), ["l_partkey", "l_suppkey"]), "SELECT DISTINCT l_partkey, l_suppkey FROM lineitem")
+add("prim_latest_version", lambda s, d: P.latest_version(T(s, d, "events"), "user_id", F.struct("ts", "event_id"), "event_id"), "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY user_id")
+add("prim_scan_total", lambda s, d: P.scan(T(s, d, "orders"), "o_orderkey", "o_custkey")[1], "SELECT CAST(sum(o_custkey) AS BIGINT) AS total FROM orders")
+add("prim_multiprefix", lambda s, d: P.multiprefix(T(s, d, "events").select("user_id", "event_id", "ts"), "user_id", ["ts", "event_id"], "event_id").select("event_id", "prefix"), "SELECT event_id, CAST(coalesce(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS prefix FROM events")
+add("prim_dedupe_first", lambda s, d: P.dedupe_first(T(s, d, "events").select("user_id", "event_id", "ts"), "user_id", ["ts", "event_id"]).select("user_id", "event_id"), "SELECT user_id, event_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS r FROM events) WHERE r = 1")
+add("prim_symmetrize", lambda s, d: P.symmetrize(G.geo_forest(s, d)), O.graph(O.GEO) + "SELECT src, dst FROM arcs")
+add("prim_adjacency", lambda s, d: P.to_adjacency(P.symmetrize(q3(s, d))).select("src", F.array_join(F.transform("nbrs", lambda x: x.cast("string")), ",").alias("nbrs")), O.graph(O.order_part(3)) + "SELECT src, string_agg(CAST(dst AS VARCHAR), ',' ORDER BY dst) AS nbrs FROM arcs GROUP BY src")
+add("prim_degrees", lambda s, d: P.degrees(P.symmetrize(G.geo_forest(s, d))), O.graph(O.GEO) + "SELECT src, count(*) AS degree FROM arcs GROUP BY src")
+add("prim_level_degrees", lambda s, d: (lambda st: P.level_degrees(st.arcs, st.verts))(preset(s, d)), O.graph(O.GEO) + "SELECT src AS vid, dl AS nbr_level, count(*) AS cnt FROM lev GROUP BY 1, 2")
+add("prim_induced_degree", lambda s, d: (lambda st: P.induced_degree(st.arcs, st.verts, 1))(preset(s, d)), O.graph(O.GEO) + "SELECT vid, count(*) FILTER (l.dl >= 1) AS degree FROM verts LEFT JOIN lev l ON l.src = vid WHERE level >= 1 GROUP BY vid")
+add("prim_neighbor_agg", lambda s, d: (lambda st: P.neighbor_agg(st.arcs, st.verts, F.sum("level")))(preset(s, d)), O.graph(O.GEO) + "SELECT src, CAST(sum(dl) AS BIGINT) AS out FROM lev GROUP BY src")
+add("prim_combine_write", lambda s, d: P.combine_write(T(s, d, "events"), "user_id", "event_id", "arbitrary"), "SELECT user_id, min(event_id) AS value FROM events GROUP BY user_id")
+add("prim_first_k_neighbors", lambda s, d: P.first_k_neighbors(P.symmetrize(G.geo_forest(s, d)), 3), O.graph(O.GEO) + "SELECT src, dst FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY dst) AS r FROM arcs) WHERE r <= 3")
+
+
+def composed(s: SparkSession, d: str) -> DataFrame:
+    ids = s.range(2000)
+    halve = ids.where("id > 0").select(F.col("id").alias("old"), F.floor(F.col("id") / 2).alias("new"))
+    return P.compose_moves([halve, halve, halve])
+
+
+add("prim_compose_moves", composed, "SELECT i AS old, i // 8 AS new FROM range(1, 2000) t(i)")
+
+# ---- measures -----------------------------------------------------------------------------------
+add("meas_graph_stats", lambda s, d: measures.graph_stats(G.part_supplier(s, d)), O.graph(O.PART_SUPPLIER) + ", g AS (SELECT src, count(*) AS c FROM arcs GROUP BY src) SELECT count(*) AS n, CAST(sum(c) // 2 AS BIGINT) AS m, max(c) AS max_degree FROM g")
+add("meas_degree_histogram", lambda s, d: measures.degree_histogram(G.part_supplier(s, d)), O.graph(O.PART_SUPPLIER) + ", g AS (SELECT src, count(*) AS degree FROM arcs GROUP BY src) SELECT degree, count(*) AS vertices FROM g GROUP BY degree")
+add("meas_diameter", lambda s, d: measures.diameters(G.order_part(s, d, 2)), O.DIAMETER)
+add("meas_component_sizes", lambda s, d: measures.component_sizes(labels_of(G.order_part(s, d, 5))), O.components(O.order_part(5), outer="SELECT component, count(*) AS size FROM (%s) GROUP BY component"))
+add("meas_size_histogram", lambda s, d: measures.size_histogram(labels_of(G.order_part(s, d, 5))), O.components(O.order_part(5), outer="SELECT size, count(*) AS components FROM (SELECT component, count(*) AS size FROM (%s) GROUP BY component) GROUP BY size"))
+add("meas_remaining_budget0", lambda s, d: levels.remaining_budget(levels.init_state(G.geo_forest(s, d), cfg=LevelConfig(beta0=4))), O.graph(O.GEO) + "SELECT src AS vid, CAST(0 AS INTEGER) AS level, greatest(0.0::DOUBLE, 4.0::DOUBLE - count(*)) AS remaining FROM arcs GROUP BY src")
+add("meas_wedge_load", lambda s, d: measures.wedge_load(preset(s, d)).where("candidates > bound"), "SELECT CAST(0 AS BIGINT) AS src, CAST(0 AS BIGINT) AS candidates, CAST(0 AS BIGINT) AS bound WHERE FALSE")
+
+
+def bounds_levels(s: SparkSession, d: str) -> DataFrame:
+    """Iterations and levels of one run against their bounds."""
+    cfg = replace(BASE, beta0=8.0, trace=True)
+    r = levels.budgeted_components(G.order_part(s, d, 2), cfg=cfg)
+    n, top = r.state.budget.n, max(t["max_level"] for t in r.trace)
+    return s.createDataFrame([(len(r.trace) <= measures.iteration_bound(n, 32, 8.0, top), top <= max(len(r.trace), measures.level_bound(n, 8.0)))], "iterations_ok boolean, levels_ok boolean")
+
+
+def bounds_space(s: SparkSession, d: str) -> DataFrame:
+    r = levels.budgeted_components(G.geo_forest(s, d), cfg=LevelConfig(trace=True))
+    census = measures.level_census(r, r.state.budget.space)
+    return s.createDataFrame([(census["peak_sum_sq_budget"] <= 1.01 * census["space"], census["peak_potential"] <= 2 * census["space"], census["unled"] == 0)], "squares_ok boolean, potential_ok boolean, led boolean")
+
+
+def bounds_shrink(s: SparkSession, d: str) -> DataFrame:
+    arcs = cut(P.symmetrize(G.order_part(s, d, 5)))
+    passes = shrink.shrink_until(arcs, 1000).passes
+    return s.createDataFrame([(all(p.ratio <= 323 / 324 for p in passes), all(p.arcs_after <= p.arcs for p in passes))], "vertices_ok boolean, arcs_ok boolean")
+
+
+def bounds_cycles(s: SparkSession, d: str) -> DataFrame:
+    _, _, st = cycles.shrink_cycles_once(G.event_ring(s, d), 256)
+    return s.createDataFrame([(st["removed"] <= st["bound"], st["longest"] <= 256, st["edges_after"] == st["removed"])], "removed_ok boolean, pieces_ok boolean, contracted_ok boolean")
+
+
+def audit_catchup(s: SparkSession, d: str) -> DataFrame:
+    state = levels.step(levels.init_state(G.order_part(s, d, 3), cfg=replace(BASE, beta0=2.0)))
+    return s.createDataFrame([(measures.level_catchup(state),)], "violations long")
+
+
+def audit_path(s: SparkSession, d: str) -> DataFrame:
+    path = s.range(24).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
+    rows = measures.path_audit(path, 0, 24, levels.init_state(path, cfg=LevelConfig(beta0=4.0)))
+    lengths = [r["length"] for r in rows]
+    return s.createDataFrame([(lengths[0], lengths == sorted(lengths, reverse=True), lengths[-1] <= 1)], "diameter long, never_longer boolean, ends_short boolean")
+
+
+def compare_methods(s: SparkSession, d: str) -> DataFrame:
+    """Iterations and peak edges of the method and the baselines on long paths."""
+    path = cut(s.range(200).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v")))
+    runs = {"levels": levels.budgeted_components(path, cfg=LevelConfig(beta0=8.0, trace=True)), "exponentiation": B.exponentiation_components(path), "label_flood": B.label_flood_components(path.where("u < 40"))}
+    rows = [(k, int(r.trace[-1]["iteration"]), max((int(t.get("edges", 0)) for t in r.trace), default=0)) for k, r in runs.items()]
+    return s.createDataFrame(rows, "method string, iterations long, peak_edges long")
+
+
+TRUE2 = "SELECT TRUE AS {}, TRUE AS {}"
+add("meas_bounds_levels", bounds_levels, TRUE2.format("iterations_ok", "levels_ok"))
+add("meas_bounds_space", bounds_space, TRUE2.format("squares_ok", "potential_ok") + ", TRUE AS led")
+add("meas_bounds_shrink", bounds_shrink, TRUE2.format("vertices_ok", "arcs_ok"))
+add("meas_bounds_cycles", bounds_cycles, TRUE2.format("removed_ok", "pieces_ok") + ", TRUE AS contracted_ok")
+add("meas_level_catchup", audit_catchup, "SELECT CAST(0 AS BIGINT) AS violations")
+add("meas_path_audit", audit_path, "SELECT CAST(24 AS BIGINT) AS diameter, TRUE AS never_longer, TRUE AS ends_short")
+add("meas_compare_methods", compare_methods, None)
+
+
+# ---- around the method --------------------------------------------------------------------------
+def geo_labels(s: SparkSession, d: str) -> DataFrame:
+    return labels_of(G.geo_forest(s, d))
+
+
+def customers(s: SparkSession, d: str) -> DataFrame:
+    return T(s, d, "customer").select(tag(F.col("c_custkey"), "customer").alias("vertex"), F.col("c_nationkey").alias("nation"), F.col("c_mktsegment").alias("segment"))
+
+
+for how in ("rollup", "cube"):
+    add(f"op_{how}_components", lambda s, d, how=how: sqlapi.component_rollup(geo_labels(s, d), customers(s, d), ["nation", "segment"], how), f"SELECT c_nationkey AS nation, c_mktsegment AS segment, count(*) AS vertices, count(DISTINCT n_regionkey) AS components FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY {how.upper()} (c_nationkey, c_mktsegment)")
+add("op_topk_components", lambda s, d: sqlapi.top_components(labels_of(G.order_part(s, d, 5)), 10), O.components(O.order_part(5), outer="SELECT component, count(*) AS size FROM (%s) GROUP BY component ORDER BY size DESC, component LIMIT 10"))
+add("op_same_component_pairs", lambda s, d: sqlapi.connected(geo_labels(s, d), T(s, d, "customer").select(tag(F.col("c_custkey"), "customer").alias("a"), tag(F.col("c_custkey") % 25, "nation").alias("b"))), "SELECT CAST(c_custkey AS BIGINT) * 8 + 3 AS a, CAST(c_custkey AS BIGINT) % 25 * 8 + 4 AS b, x.n_regionkey = y.n_regionkey AS same FROM customer JOIN nation x ON c_nationkey = x.n_nationkey JOIN nation y ON c_custkey % 25 = y.n_nationkey")
+add("op_cooccurrence", lambda s, d: G.cooccurrence(s, d), O.COOCCUR)
+add("op_asof", lambda s, d: P.predecessor(T(s, d, "events").select("event_id", "user_id", "ts", F.lit(1).alias("flag")), "user_id", ["ts", "event_id"], "flag", "event_id").select("event_id", "before"), "SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events")
+add("op_semi_anti", lambda s, d: shrink.split_isolated(orders_as_vertices(s, d), P.symmetrize(G.order_part(s, d, 2))), "SELECT CAST(o_orderkey AS BIGINT) * 8 AS vid FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem WHERE l_quantity <= 2)")
+add("op_setops", lambda s, d: P.minus_edges(G.order_part(s, d, 3), G.order_part(s, d, 2)), f"SELECT u, v FROM ({O.order_part(3)}) EXCEPT SELECT u, v FROM ({O.order_part(2)})")
+add("op_common_edges", lambda s, d: P.common_edges(G.order_part(s, d, 3), G.order_part(s, d, 2)), f"SELECT u, v FROM ({O.order_part(3)}) INTERSECT SELECT u, v FROM ({O.order_part(2)})")
+add("op_edges_by_month", lambda s, d: T(s, d, "events").groupBy(F.date_format("ts", "yyyy-MM").alias("month")).agg(F.count("*").alias("events"), F.count_distinct("user_id").alias("users")), "SELECT strftime(ts, '%Y-%m') AS month, count(*) AS events, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
+add("op_component_ranks", lambda s, d: sqlapi.numbered(labels_of(G.order_part(s, d, 2))).withColumn("rank", F.col("rank").cast("long")), O.components(O.order_part(2), outer="SELECT vertex, component, row_number() OVER (PARTITION BY component ORDER BY vertex) AS rank FROM (%s)"))
+
+
+def stream_batches(s: SparkSession, d: str) -> DataFrame:
+    """The same components from three batches of edges, the second delivered twice."""
+    import uuid
+
+    from tidegraph.functions.session import shared_dir
+    from tidegraph.streaming.incremental import IncrementalComponents
+
+    inc = IncrementalComponents(s, f"{shared_dir(s).rstrip('/')}/stream-{uuid.uuid4().hex}")
+    edges = q3(s, d)
+    for b in (0, 1, 1, 2):
+        inc.add(edges.where(F.pmod(F.xxhash64("u", "v"), F.lit(3)) == b), b)
+    return inc.labels()
+
+
+add("stream_incremental_components", stream_batches, Q3)
+
+
+def queries() -> dict[str, Query]:
+    return dict(_found)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(_sql)
