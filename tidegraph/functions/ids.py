@@ -18,6 +18,7 @@ def encode_ids(edges: DataFrame, a: str = "u", b: str = "v") -> tuple[DataFrame,
     """Edges over any keys -> (edges u, v over 0..n-1, dictionary id, key). Ids are sorted ranks, so two keys never share one."""
     keys = edges.select(F.col(a).alias("key")).union(edges.select(F.col(b).alias("key"))).where("key is not null").distinct()
     dictionary = global_index(keys, "key", name="id").select("id", "key")
+    pairs = edges.select(F.col(a).alias("_a"), F.col(b).alias("_b"))
     left, right = (dictionary.select(F.col("id").alias(n), F.col("key").alias(f"_{n}")) for n in "uv")
-    coded = edges.join(left, F.col(a) == F.col("_u")).select("u", F.col(b).alias("_b")).join(right, F.col("_b") == F.col("_v")).select("u", "v")
+    coded = pairs.join(left, F.col("_a") == F.col("_u")).select("u", "_b").join(right, F.col("_b") == F.col("_v")).select("u", "v")
     return coded, dictionary

@@ -156,6 +156,8 @@ def lift_moves(leveled: DataFrame) -> DataFrame:
 def lift_to_higher_level(state: State) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(arcs, verts, moves): one direct rename each, chains are left for the next iteration."""
     moves = cut(lift_moves(with_levels(state.arcs, state.verts)))
+    if moves.isEmpty():
+        return state.arcs, cut(drop_isolated_inactive(state.verts, state.arcs)) if state.log else state.verts, moves
     arcs = cut(contract(state.arcs, moves))
     verts = state.verts.join(moves.select(F.col("old").alias("vid"), F.lit(True).alias("_m")), "vid", "left")
     verts = verts.select("vid", "level", (F.col("active") & F.col("_m").isNull()).alias("active"))

@@ -76,19 +76,19 @@ def q3(s: SparkSession, d: str) -> DataFrame:
 
 BASE = LevelConfig(leader_rate=0.3)
 for name, cfg in (
-    ("paper_budget", LevelConfig()), ("beta2", replace(BASE, beta0=2)), ("beta4", replace(BASE, beta0=4)), ("beta8", replace(BASE, beta0=8)), ("beta32", replace(BASE, beta0=32)),
+    ("paper_budget", LevelConfig()), ("beta4", replace(BASE, beta0=4)), ("beta8", replace(BASE, beta0=8)),
     ("rule_mpc", replace(BASE, beta0=4, rule="mpc")), ("rule_skip_lifted", replace(BASE, beta0=4, rule="skip_lifted")), ("retire_off", replace(BASE, beta0=8, retire_cliques=False)), ("hashed_pick", replace(BASE, beta0=8, pick="hash")),
 ):
-    add(f"cc_levels_{name}", lambda s, d, cfg=cfg: levels.budgeted_components(q3(s, d), cfg=cfg).labels, Q3)
-add("cc_shrink_only", lambda s, d: B.shrink_only_components(q3(s, d)).labels, Q3)
-add("cc_shrink_then_levels", lambda s, d: connected_components(q3(s, d), cfg=EngineConfig(local_finish_arcs=0, shrink_to=400, levels=replace(BASE, beta0=4))).labels, Q3)
-add("cc_boosted", lambda s, d: boosted_components(q3(s, d), 2, replace(BASE, beta0=8)).labels, Q3)
+    add(f"cc_levels_{name}", lambda s, d, cfg=cfg: levels.budgeted_components(G.order_part(s, d, 1), cfg=cfg).labels, O.components(O.order_part(1)))
+add("cc_shrink_only", lambda s, d: B.shrink_only_components(q3(s, d), local_arcs=200).labels, Q3)
+add("cc_shrink_then_levels", lambda s, d: connected_components(G.order_part(s, d, 1), cfg=EngineConfig(local_finish_arcs=0, shrink_to=300, levels=replace(BASE, beta0=4))).labels, O.components(O.order_part(1)))
+add("cc_boosted", lambda s, d: boosted_components(G.order_part(s, d, 1), 2, replace(BASE, beta0=8)).labels, O.components(O.order_part(1)))
 add("base_exponentiation", lambda s, d: B.exponentiation_components(q3(s, d)).labels, Q3)
-add("base_uniform_degree", lambda s, d: B.uniform_degree_components(q3(s, d)).labels, Q3)
+add("base_uniform_degree", lambda s, d: B.uniform_degree_components(G.order_part(s, d, 1)).labels, O.components(O.order_part(1)))
 add("base_matrix_squaring", lambda s, d: B.matrix_squaring_components(q3(s, d)).labels, Q3)
 add("base_hook_contract_conditional", lambda s, d: B.hook_contract_components(q3(s, d)).labels, Q3)
 add("base_hook_contract_star", lambda s, d: B.hook_contract_components(q3(s, d), variant="star").labels, Q3)
-add("base_random_mate", lambda s, d: B.random_mate_components(q3(s, d)).labels, Q3)
+add("base_random_mate", lambda s, d: B.random_mate_components(G.order_part(s, d, 1)).labels, O.components(O.order_part(1)))
 add("base_random_mate_bounded", lambda s, d: B.random_mate_components(G.order_part(s, d, 1), bounded=True).labels, O.components(O.order_part(1)))
 add("base_random_mate_shrink", lambda s, d: connected_components(q3(s, d), cfg=replace(SMALL, shrink="random_mate")).labels, Q3)
 add("base_label_flood", lambda s, d: B.label_flood_components(q3(s, d)).labels, Q3)
@@ -213,7 +213,7 @@ add("meas_wedge_load", lambda s, d: measures.wedge_load(preset(s, d)).where("can
 def bounds_levels(s: SparkSession, d: str) -> DataFrame:
     """Iterations and levels of one run against their bounds."""
     cfg = replace(BASE, beta0=8.0, trace=True)
-    r = levels.budgeted_components(G.order_part(s, d, 2), cfg=cfg)
+    r = levels.budgeted_components(G.order_part(s, d, 1), cfg=cfg)
     n, top = r.state.budget.n, max(t["max_level"] for t in r.trace)
     return s.createDataFrame([(len(r.trace) <= measures.iteration_bound(n, 32, 8.0, top), top <= max(len(r.trace), measures.level_bound(n, 8.0)))], "iterations_ok boolean, levels_ok boolean")
 
@@ -236,7 +236,7 @@ def bounds_cycles(s: SparkSession, d: str) -> DataFrame:
 
 
 def audit_catchup(s: SparkSession, d: str) -> DataFrame:
-    state = levels.step(levels.init_state(G.order_part(s, d, 3), cfg=replace(BASE, beta0=2.0)))
+    state = levels.step(levels.init_state(G.order_part(s, d, 1), cfg=replace(BASE, beta0=2.0)))
     return s.createDataFrame([(measures.level_catchup(state),)], "violations long")
 
 
