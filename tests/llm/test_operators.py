@@ -75,8 +75,8 @@ def test_mcd_rejects_planted_outliers_only(spark):
     assert not any(got[i] for i, *_ in junk)
 
 
-def test_concentration_lowers_determinant_like_numpy():
-    """The consistency factor and quantiles against known values."""
+def test_chi_square_values():
+    """Against known values."""
     assert abs(robust_quality.chi2_quantile(0.95, 4) - 9.487729) < 1e-5
     assert abs(robust_quality.chi2_cdf(3.0, 2) - (1 - math.exp(-1.5))) < 1e-12
 
