@@ -1,7 +1,7 @@
 """Deterministic sharded WARC writer and its reader.
 
-Records are dealt into key ranges whose bounds come from the input alone (the ids with the least hashes
-are the sample), sorted within them, and written as gzip members. A file is rolled when its
+Records are dealt into key ranges whose number and bounds come from the input alone (its bytes, and the ids with the
+least hashes as the sample), one range to a task, sorted within them, and written as gzip members. A file is rolled when its
 compressed bytes reach `roll_bytes`. Headers, record ids, block and payload digests are made anew. A
 task writes under a temporary name of its own attempt, renames the finished file, and reports it;
 the reported rows become the manifest, itself written through Spark's committer and sealed last by a
@@ -21,17 +21,19 @@ from __future__ import annotations
 import base64
 import gzip
 import hashlib
+import math
 import uuid
 import zlib
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidegraph.functions.session import shared_dir
+from tidegraph.functions.session import shared_dir, stored
 
 MANIFEST = "shard long, part int, path string, records long, bytes long, sha256 string"
-SAMPLE = 4096
+SAMPLE = 64  # ids sampled for each shard
+MOST_SHARDS = 4096
 DATE = "2024-01-01T00:00:00Z"
 
 
@@ -63,6 +65,24 @@ def _gz(data: bytes) -> bytes:
     return c.compress(data) + c.flush()
 
 
+def _rows_of(batches, step: int = 256):
+    for batch in batches:
+        for at in range(0, batch.num_rows, step):
+            yield from batch.slice(at, step).to_pylist()
+
+
+def _range_of(key: Column, bounds: list[int]) -> Column:
+    """How many of the sorted bounds are at most key, in two steps of about sqrt(len(bounds)) comparisons each."""
+    if not bounds:
+        return F.lit(0)
+    step = math.isqrt(len(bounds) - 1) + 1
+    longs = lambda xs: F.array(*[F.lit(x).cast("long") for x in xs])
+    upto = lambda xs: F.size(F.filter(xs, lambda b: b <= key))
+    heads = F.size(F.filter(longs(bounds[::step]), lambda b: b <= key))
+    inner = F.array(*[longs(bounds[i : i + step]) for i in range(0, len(bounds), step)])
+    return F.when(heads == 0, F.lit(0)).otherwise((heads - 1) * step + upto(F.get(inner, heads - 1)))
+
+
 def _writer(folder: str, roll_bytes: int):
     def run(batches):
         rows: dict[str, list] = {k: [] for k in ("shard", "part", "path", "records", "bytes", "sha256")}
@@ -81,24 +101,30 @@ def _writer(folder: str, roll_bytes: int):
                 rows[k].append(v)
             open_ = None
 
-        for batch in batches:
-            for row in batch.to_pylist():
-                if open_ is not None and (open_[0] != row["_shard"] or open_[5] >= roll_bytes):
-                    part = open_[1] + 1 if open_[0] == row["_shard"] else 0
-                    close()
-                else:
-                    part = 0
-                if open_ is None:
-                    temp = f"{base}/.tmp-{row['_shard']:06d}-{part:05d}-{uuid.uuid4().hex}"
-                    open_ = [row["_shard"], part, temp, store.open_output_stream(temp), 0, 0, hashlib.sha256()]
-                payload = (row["_html"] or "").encode()
-                page = "null" if row["_id"] is None else str(row["_id"])
-                refers = None if row["_to"] is None else str(row["_to"])
-                data = _gz(record("response" if refers is None else "revisit", page, row["_url"] or "", payload, base32_sha1(payload), refers))
-                open_[3].write(data)
-                open_[6].update(data)
-                open_[4] += 1
-                open_[5] += len(data)
+        tagged, known = None, {}  # the tags of one id come before its records
+        for row in _rows_of(batches):
+            if row["_kind"] == 0:
+                if row["_id"] != tagged:
+                    tagged, known = row["_id"], {}
+                known[row["_same"]] = row["_to"]
+                continue
+            if open_ is None:
+                part = 0
+            elif open_[5] >= roll_bytes:
+                part = open_[1] + 1
+                close()
+            if open_ is None:
+                temp = f"{base}/.tmp-{row['_shard']:06d}-{part:05d}-{uuid.uuid4().hex}"
+                open_ = [row["_shard"], part, temp, store.open_output_stream(temp), 0, 0, hashlib.sha256()]
+            payload = (row["_html"] or "").encode()
+            page = "null" if row["_id"] is None else str(row["_id"])
+            refers = known.get(hashlib.sha256(payload).digest()) if known and row["_id"] == tagged else None
+            refers = None if refers is None else str(refers)
+            data = _gz(record("response" if refers is None else "revisit", page, row["_url"] or "", payload, base32_sha1(payload), refers))
+            open_[3].write(data)
+            open_[6].update(data)
+            open_[4] += 1
+            open_[5] += len(data)
         close()
         yield pa.RecordBatch.from_arrays([pa.array(rows["shard"], pa.int64()), pa.array(rows["part"], pa.int32()), pa.array(rows["path"], pa.string()), pa.array(rows["records"], pa.int64()), pa.array(rows["bytes"], pa.int64()), pa.array(rows["sha256"], pa.string())], names=[*rows])
 
@@ -107,30 +133,27 @@ def _writer(folder: str, roll_bytes: int):
 
 def write_archive(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", revisit_from: int = 0, shard_bytes: int = 64_000_000, roll_bytes: int = 16_000_000) -> DataFrame:
     """Writes the archive under folder (on storage all executors share) and returns its manifest."""
-    spark = pages.sparkSession
     store, base = _fs(folder)
     store.create_dir(base, recursive=True)
-    html = F.coalesce(F.col(payload_col), F.lit(""))
     rows = pages.select(F.col(id_col).cast("long").alias("_id"), F.col(url_col).alias("_url"), F.col(payload_col).alias("_html"))
-    size = F.octet_length(html)
-    same = F.sha2(html.cast("binary"), 256)
-    keyed = pages.select(F.col(id_col).cast("long").alias("_id"), same.alias("_same"), size.alias("_n"))
+    payload = F.coalesce(F.col("_html"), F.lit("")).cast("binary")
+    keyed = stored(rows.select("_id", F.unhex(F.sha2(payload, 256)).alias("_same"), F.octet_length(payload).cast("long").alias("_n")), "warc-keys")
     total = keyed.agg(F.sum("_n")).first()[0] or 0
-    shards = int(min(SAMPLE // 4, max(1, -(-total // shard_bytes), spark.sparkContext.defaultParallelism)))
-    sample = sorted(r["_id"] for r in keyed.where("_id is not null").select("_id", F.xxhash64("_id").alias("h")).orderBy("h", "_id").limit(SAMPLE).collect())
+    shards = int(min(MOST_SHARDS, max(1, -(-total // shard_bytes))))
+    sample = sorted(r["_id"] for r in keyed.where("_id is not null").select("_id", F.xxhash64("_id").alias("h")).orderBy("h", "_id").limit(SAMPLE * shards).collect()) if shards > 1 else []
     bounds = sorted({sample[len(sample) * i // shards] for i in range(1, shards)}) if sample else []
-    # copies: the least id of every payload that occurs twice or more; only those rows are joined back
-    copies = keyed.where(F.col("_n") >= revisit_from).groupBy("_same", "_n").agg(F.min("_id").alias("_first"), F.count("*").alias("c")).where("c > 1").select("_same", F.col("_n").alias("_size"), "_first")
-    flagged = rows.withColumn("_same", F.sha2(F.coalesce(F.col("_html"), F.lit("")).cast("binary"), 256)).join(copies, "_same", "left")
-    refers = F.when(F.col("_first").isNotNull() & (F.col("_id") != F.col("_first")), F.col("_first"))
-    shard = F.size(F.filter(F.array(*[F.lit(b).cast("long") for b in bounds]), lambda b: b <= F.col("_id"))) if bounds else F.lit(0)
-    ready = flagged.select("_id", "_url", "_html", refers.alias("_to"), F.when(F.col("_id").isNull(), 0).otherwise(shard).cast("long").alias("_shard"))
-    ready = ready.repartition(shards, "_shard").sortWithinPartitions("_shard", "_id", "_url", "_html")
+    # only the keys of repeated payloads are joined; the payloads themselves are shuffled once, together with these tags
+    copies = keyed.where(F.col("_n") >= revisit_from).groupBy("_same", "_n").agg(F.min("_id").alias("_to"), F.count("*").alias("c")).where("c > 1").drop("c")
+    tags = keyed.join(copies, ["_same", "_n"]).where("_id <> _to").select("_id", "_same", "_to").distinct()
+    shard = F.when(F.col("_id").isNull(), 0).otherwise(_range_of(F.col("_id"), bounds)).cast("int")
+    ready = tags.select(F.lit(0).alias("_kind"), "_id", F.lit(None).cast("string").alias("_url"), F.lit(None).cast("string").alias("_html"), "_same", "_to")
+    ready = ready.unionByName(rows.select(F.lit(1).alias("_kind"), "*"), allowMissingColumns=True).withColumn("_shard", shard)
+    ready = ready.repartitionById(shards, F.col("_shard")).sortWithinPartitions("_id", "_kind", "_url", "_html")
     manifest = ready.mapInArrow(_writer(folder, roll_bytes), MANIFEST)
     manifest.write.mode("overwrite").parquet(f"{folder}/_manifest")
     with store.open_output_stream(f"{base}/_COMMITTED") as seal:
         seal.write(b"ok\n")
-    return spark.read.schema(MANIFEST).parquet(f"{folder}/_manifest")
+    return pages.sparkSession.read.schema(MANIFEST).parquet(f"{folder}/_manifest")
 
 
 RECORDS = "page_id string, target_uri string, payload_bytes long, payload_digest string, record_type string, refers_to string, verified boolean, payload string"
