@@ -14,7 +14,8 @@ in each index list and band of sizes the others are held against one pivot (the
 shingles of its own), and in each group its members
 against the first. What these links join needs no more checks. Then, exactly the rest: in every
 list that still has several components, the members outside its largest one are held against all
-of other components. Every pair that passes the filters is so either verified or already connected.
+of other components. Here a bitmap of parities bounds the overlap as well: sets that differ in more bits than a linked
+pair may differ in shingles are no link. Every pair that passes the filters is so either verified or already connected.
 
 Cases: A-Z count as lower case. With fewer than k words the whole sequence is the one shingle; without words
 or text the set is empty and links with nothing. Repeated rows are one class; null ids take part, and
@@ -36,6 +37,7 @@ from tidegraph.operators.baselines import hook_contract_components
 from tidegraph.operators.primitives import all_of
 
 LOCAL = 20_000
+WORDS = 8  # 64-bit words of a set's parity bitmap
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fold: bool, block_bytes: int | None) -> DataFrame:
@@ -45,7 +47,7 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
     id_type = picked.schema["_id"].dataType.simpleString()
     parts = 1 << (max(1, blocks // 2) - 1).bit_length()
     mask = short_keys(parts)  # keys taken for one another make frequencies larger, never smaller: only the index grows
-    schema = f"rid long, _id {id_type}, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>"
+    schema = f"rid long, _id {id_type}, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>, bits array<long>"
 
     def ask(table: pa.Table) -> dict:
         _, h = shingle_sets(words_of(table["_text"], fold), k)
@@ -70,12 +72,17 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
         found = np.append(0, np.cumsum(per_doc(index.astype(np.int64), offs)))
         full = np.repeat(np.diff(found) > 0, n)
         kept = np.append(0, np.cumsum(np.where(np.diff(found) > 0, n, 0)))
+        bits = np.zeros(rows * WORDS, U)  # parity bitmap: each shingle flips one bit, so shared ones cancel out
+        at = mix(h ^ U(0x5BD1E9955BD1E995))
+        np.bitwise_xor.at(bits, doc * WORDS + (at >> U(6)).astype(np.int64) % WORDS, U(1) << (at & U(63)))
         lists = lambda at, values: pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), values)
         signed = lambda x: pa.array(x.astype(np.uint64).view(np.int64))
         block = table["_block"][0].as_py() if rows else 0
         cols = [pa.array((block << 28) + np.arange(rows)), table["_id"], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
         cols += [lists(found, signed(rare[index])), lists(found, pa.array((place - np.repeat(n - common, n))[index].astype(np.int32))), lists(kept, signed(h[full]))]
-        return pa.Table.from_arrays(cols, names=["rid", "_id", "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles"])
+        has = np.diff(found) > 0
+        cols.append(lists(np.append(0, np.cumsum(has)) * WORDS, signed(bits[np.repeat(has, WORDS)])))
+        return pa.Table.from_arrays(cols, names=["rid", "_id", "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
 
     return exchange(blocked, ask, sums, finish, schema, parts, 5)
 
@@ -92,6 +99,12 @@ def _may_link(x: str, y: str, percent: int) -> Column:
     return (100 * F.least(nx, ny) >= percent * F.greatest(nx, ny)) & (most >= _needed(nx, ny, percent))
 
 
+def _differ_little(x: str, y: str, nx: str, ny: str, percent: int) -> Column:
+    """Lossless bitmap filter: bits that differ are at most the shingles that differ. Null bitmaps pass."""
+    differ = sum((F.bit_count(F.col(x)[i].bitwiseXOR(F.col(y)[i])) for i in range(WORDS)), F.lit(0))
+    return F.coalesce(differ <= F.col(nx) + F.col(ny) - 2 * _needed(F.col(nx), F.col(ny), percent), F.lit(True))
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """(u, v) of those pairs whose whole sets are similar."""
     whole = sets.select("rid", "n", "shingles")
@@ -109,7 +122,7 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     classes = cut(some.groupBy("sig1", "sig2").agg(F.min("rid").alias("rep"), F.count("*").alias("copies")))
     spare = some.join(classes.where("copies > 1").select("sig1", "sig2", "rep"), ["sig1", "sig2"]).where("rid <> rep").select("rid")
     indexed = sets.where(F.size("tokens") > 0)
-    members = cut(indexed.select("rid", "gid").join(spare, "rid", "left_anti"))  # one a class
+    members = cut(indexed.select("rid", "gid", "n", "bits").join(spare, "rid", "left_anti"))  # one a class
     entries = indexed.select("rid", "gid", "n", "a", F.posexplode("tokens").alias("_i", "token"), "places").select("rid", "gid", "n", "a", "token", F.col("places")[F.col("_i")].alias("place"))
     entries = stored(entries.join(spare, "rid", "left_anti"), "prefix-entries")
 
@@ -120,20 +133,23 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     star = lists.alias("x").join(pivots.alias("y"), ["token", "band"]).where((F.col("x.lead") != F.col("y.lead")) & _may_link("x", "y", percent))
     star = star.select(F.least("x.lead", "y.lead").alias("u"), F.greatest("x.lead", "y.lead").alias("v"))
     leads = members.groupBy("gid").agg(F.min("rid").alias("u"))
-    inner = members.join(leads, "gid").where("rid <> u").select("u", F.col("rid").alias("v"))
+    inner = members.select("rid", "gid").join(leads, "gid").where("rid <> u").select("u", F.col("rid").alias("v"))
     first = _verified(star.unionByName(inner).distinct(), sets, percent)
 
     near = hook_contract_components(first, local_arcs=LOCAL).labels.select(F.col("vertex").alias("rid"), F.col("component").alias("comp"))
     placed = cut(entries.join(near, "rid", "left").groupBy("token", "gid", "n", "a", "place", F.coalesce("comp", "rid").alias("comp")).agg(F.lit(1).alias("_one")).drop("_one"))
     shares = placed.groupBy("token", "comp").agg(F.count("*").alias("c"))
     main = shares.groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("token", "main")
-    mixed = cut(placed.join(main, "token"))
+    inside = cut(members.join(near, "rid", "left").select("gid", "rid", "n", "bits", F.coalesce("comp", "rid").alias("comp")))
+    # a group's members in one component mostly are one set; where they are several, the group passes without a bitmap
+    maps = inside.groupBy("gid", "comp").agg(F.when(F.count("*") == 1, F.any_value("bits")).alias("bits"))
+    mixed = cut(placed.join(main, "token").join(maps, ["gid", "comp"]))
     minor = mixed.where("comp <> main")
-    rest = minor.alias("x").join(mixed.alias("y"), "token").where((F.col("x.comp") != F.col("y.comp")) & _may_link("x", "y", percent))
+    rest = minor.alias("x").join(mixed.alias("y"), "token").where((F.col("x.comp") != F.col("y.comp")) & _may_link("x", "y", percent) & _differ_little("x.bits", "y.bits", "x.n", "y.n", percent))
     rest = rest.select(*[F.col(f"{a}.{c}").alias(f"{c}_{a}") for a in "xy" for c in ("gid", "comp")]).distinct()
-    inside = cut(members.join(near, "rid", "left").select("gid", "rid", F.coalesce("comp", "rid").alias("comp")))
     for a, name in (("x", "p"), ("y", "q")):
-        rest = rest.join(inside.select(F.col("gid").alias(f"gid_{a}"), F.col("comp").alias(f"comp_{a}"), F.col("rid").alias(name)), [f"gid_{a}", f"comp_{a}"])
+        rest = rest.join(inside.select(F.col("gid").alias(f"gid_{a}"), F.col("comp").alias(f"comp_{a}"), F.col("rid").alias(name), F.col("n").alias(f"n_{name}"), F.col("bits").alias(f"bits_{name}")), [f"gid_{a}", f"comp_{a}"])
+    rest = rest.where(_differ_little("bits_p", "bits_q", "n_p", "n_q", percent))
     second = _verified(rest.select(F.least("p", "q").alias("u"), F.greatest("p", "q").alias("v")).distinct(), sets, percent)
 
     labels = hook_contract_components(all_of([first, second]), local_arcs=LOCAL).labels
