@@ -21,8 +21,16 @@ def split_isolated(vertices: DataFrame, arcs: DataFrame) -> DataFrame:
     return vertices.join(arcs.select(F.col("src").alias("vid")).distinct(), "vid", "left_anti")
 
 
-def pick_min_neighbor(arcs: DataFrame) -> DataFrame:
-    return arcs.groupBy(F.col("src").alias("tail")).agg(F.min("dst").alias("head"))
+def pick_min_neighbor(arcs: DataFrame, *salt, order: str = "id") -> DataFrame:
+    """One pick a vertex: its least neighbour by id, or by a salted hash of it (hash).
+
+    Any total order of the vertices will do. The hash of a long is one to one, so it has no ties; unlike ids it makes many
+    local minima where ids rise along paths, so that stars and not only thinned lone picks merge.
+    """
+    if order not in ("id", "hash"):
+        raise ValueError(f"unknown order: {order}")
+    least = F.min("dst") if order == "id" else F.min_by("dst", F.xxhash64("dst", *[F.lit(s) for s in salt]))
+    return arcs.groupBy(F.col("src").alias("tail")).agg(least.alias("head"))
 
 
 def break_mutual(picks: DataFrame) -> DataFrame:
@@ -83,16 +91,17 @@ class Pass:
         return (self.vertices - self.moved) / max(1, self.vertices)
 
 
-def shrink_moves(arcs: DataFrame, *salt, kind: str = "xx", isolated: str = "both_ends") -> DataFrame:
-    picks = cut(cut_hub_out(break_mutual(cut(pick_min_neighbor(arcs)))))
+def shrink_moves(arcs: DataFrame, *salt, kind: str = "xx", isolated: str = "both_ends", picks: DataFrame | None = None) -> DataFrame:
+    """picks: those of pick_min_neighbor, where they are at hand."""
+    picks = cut(cut_hub_out(break_mutual(picks if picks is not None else cut(pick_min_neighbor(arcs)))))
     stars, rest = merge_stars(picks)
     lone = merge_isolated(thin(rest, *salt, kind=kind), isolated)
     return stars.unionByName(lone)
 
 
-def shrink_once(arcs: DataFrame, *salt, kind: str = "xx", isolated: str = "both_ends", method: str = "picks") -> tuple[DataFrame, DataFrame]:
+def shrink_once(arcs: DataFrame, *salt, kind: str = "xx", isolated: str = "both_ends", method: str = "picks", picks: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """(contracted arcs, moves). method: picks, or random_mate for the in-expectation baseline."""
-    moves = cut(shrink_moves(arcs, *salt, kind=kind, isolated=isolated) if method == "picks" else random_mate_moves(arcs, *salt, kind=kind))
+    moves = cut(shrink_moves(arcs, *salt, kind=kind, isolated=isolated, picks=picks) if method == "picks" else random_mate_moves(arcs, *salt, kind=kind))
     return cut(contract(arcs, moves)), moves
 
 
@@ -103,16 +112,21 @@ class Shrunk:
     passes: list[Pass] = field(default_factory=list)
 
 
-def shrink_until(arcs: DataFrame, target: float, seed: int = 0, kind: str = "xx", method: str = "picks", stop_arcs: int = 0, most: int = 200) -> Shrunk:
-    """Passes until at most target vertices (of those that have arcs) or stop_arcs arcs are left."""
+def shrink_until(arcs: DataFrame, target: float, seed: int = 0, kind: str = "xx", method: str = "picks", stop_arcs: int = 0, most: int = 200, order: str = "hash") -> Shrunk:
+    """Passes until at most target vertices (of those that have arcs) or stop_arcs arcs are left.
+
+    Each such vertex has one pick, so the picks count the vertices without a shuffle of their own.
+    """
     out = Shrunk(arcs)
     for i in range(most):
-        m, n = out.arcs.agg(F.count("*"), F.count_distinct("src")).first()
+        m = out.arcs.count()
+        picks = cut(pick_min_neighbor(out.arcs, seed, i, order=order)) if m > stop_arcs else None
+        n = picks.count() if picks is not None else 0
         if out.passes:
             out.passes[-1].arcs_after = m
         if m == 0 or n <= target or m <= stop_arcs:
             return out
-        out.arcs, moves = shrink_once(out.arcs, seed, i, kind=kind, method=method)
+        out.arcs, moves = shrink_once(out.arcs, seed, i, kind=kind, method=method, picks=picks)
         out.maps.append(moves)
         out.passes.append(Pass(i, n, m, moves.count(), 0))
     raise RuntimeError(f"no end after {most} shrink passes: {out.passes[-3:]}")

@@ -31,7 +31,7 @@ def add(name: str, run: Query, sql: str | None) -> None:
         _sql[name] = sql
 
 
-def labels_of(edges: DataFrame, cfg: EngineConfig = SMALL, vertices: DataFrame | None = None) -> DataFrame:
+def labels_of(edges: DataFrame, cfg: EngineConfig = EngineConfig(), vertices: DataFrame | None = None) -> DataFrame:
     return connected_components(edges, vertices, cfg).labels
 
 
