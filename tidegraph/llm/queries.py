@@ -27,7 +27,7 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op1_robust_quality(spark, sf_dir):
-    return robust_quality.judge(documents(spark, sf_dir))
+    return robust_quality.judge(documents(spark, sf_dir), reject=1e-4)
 
 
 def op2_warc_shards(spark, sf_dir):
