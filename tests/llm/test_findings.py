@@ -1,6 +1,11 @@
 """What the first review found: each test fails on the code as it was then."""
 
+import pytest
+from pyspark.sql import functions as F
+
 from tidegraph.llm import queries, robust_quality
+from tidegraph.plans import graphs
+from tidegraph.plans import queries as graph_queries
 
 
 def test_outliers_near_the_limit(spark, tmp_path):
@@ -17,6 +22,15 @@ def test_outliers_near_the_limit(spark, tmp_path):
     assert all(got[i]["kept"] for i in range(120))
 
 
+@pytest.mark.parametrize("name", ["base_label_flood", "cc_shrink_only"])
+def test_baselines_take_the_whole_graph(spark, name):
+    data = "/root/testdata/sf0.001"
+    edges = graphs.order_part(spark, data)
+    ids = edges.select(F.col("u").alias("vertex")).union(edges.select("v")).distinct()
+    got = graph_queries.queries()[name](spark, data)
+    assert sorted(r["vertex"] for r in got.select("vertex").collect()) == sorted(r["vertex"] for r in ids.collect())
+
+
 def with_symbols(i, n):
     """100 words of five letters; n letters, the first of each word and then the second, are pipes."""
     words = [list(f"{i * 100 + k:06d}"[-5:].translate(str.maketrans("0123456789", "abcdefghij"))) for k in range(100)]

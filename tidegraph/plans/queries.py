@@ -68,6 +68,7 @@ add("cc_page_links", page_links, O.PAGE_COMPONENTS)
 
 # ---- variants of the method, and the baselines, on one graph ----------------------------------
 Q3 = O.components(O.order_part(3))
+WHOLE = O.components(O.order_part())
 
 
 def q3(s: SparkSession, d: str) -> DataFrame:
@@ -80,19 +81,19 @@ for name, cfg in (
     ("rule_mpc", replace(BASE, beta0=4, rule="mpc")), ("rule_skip_lifted", replace(BASE, beta0=4, rule="skip_lifted")), ("retire_off", replace(BASE, beta0=8, retire_cliques=False)), ("hashed_pick", replace(BASE, beta0=8, pick="hash")),
 ):
     add(f"cc_levels_{name}", lambda s, d, cfg=cfg: levels.budgeted_components(G.order_part(s, d, 1), cfg=cfg).labels, O.components(O.order_part(1)))
-add("cc_shrink_only", lambda s, d: B.shrink_only_components(q3(s, d), local_arcs=200).labels, Q3)
+add("cc_shrink_only", lambda s, d: B.shrink_only_components(G.order_part(s, d), local_arcs=200).labels, WHOLE)
 add("cc_shrink_then_levels", lambda s, d: connected_components(G.order_part(s, d, 1), cfg=EngineConfig(local_finish_arcs=0, shrink_to=300, levels=replace(BASE, beta0=4))).labels, O.components(O.order_part(1)))
 add("cc_boosted", lambda s, d: boosted_components(G.order_part(s, d, 1), 2, replace(BASE, beta0=8)).labels, O.components(O.order_part(1)))
 add("base_exponentiation", lambda s, d: B.exponentiation_components(q3(s, d)).labels, Q3)
 add("base_uniform_degree", lambda s, d: B.uniform_degree_components(G.order_part(s, d, 1)).labels, O.components(O.order_part(1)))
 add("base_matrix_squaring", lambda s, d: B.matrix_squaring_components(q3(s, d)).labels, Q3)
-add("base_hook_contract_conditional", lambda s, d: B.hook_contract_components(q3(s, d)).labels, Q3)
-add("base_hook_contract_star", lambda s, d: B.hook_contract_components(q3(s, d), variant="star").labels, Q3)
+add("base_hook_contract_conditional", lambda s, d: B.hook_contract_components(G.order_part(s, d)).labels, WHOLE)
+add("base_hook_contract_star", lambda s, d: B.hook_contract_components(G.order_part(s, d), variant="star").labels, WHOLE)
 add("base_random_mate", lambda s, d: B.random_mate_components(G.order_part(s, d, 1)).labels, O.components(O.order_part(1)))
 add("base_random_mate_bounded", lambda s, d: B.random_mate_components(G.order_part(s, d, 1), bounded=True).labels, O.components(O.order_part(1)))
-add("base_random_mate_shrink", lambda s, d: connected_components(q3(s, d), cfg=replace(SMALL, shrink="random_mate")).labels, Q3)
-add("base_label_flood", lambda s, d: B.label_flood_components(q3(s, d)).labels, Q3)
-add("base_local", lambda s, d: B.local_components(q3(s, d)).labels, Q3)
+add("base_random_mate_shrink", lambda s, d: connected_components(G.order_part(s, d), cfg=replace(SMALL, shrink="random_mate")).labels, WHOLE)
+add("base_label_flood", lambda s, d: B.label_flood_components(G.order_part(s, d)).labels, WHOLE)
+add("base_local", lambda s, d: B.local_components(G.order_part(s, d)).labels, WHOLE)
 
 
 # ---- single steps on the geography forest with preset levels -----------------------------------
