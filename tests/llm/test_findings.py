@@ -4,6 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tidegraph.llm import queries, robust_quality
+from tidegraph.operators import levels
 from tidegraph.plans import graphs
 from tidegraph.plans import queries as graph_queries
 
@@ -31,6 +32,20 @@ def test_baselines_take_the_whole_graph(spark, name):
     assert sorted(r["vertex"] for r in got.select("vertex").collect()) == sorted(r["vertex"] for r in ids.collect())
 
 
+def test_methods_are_compared_on_one_graph(spark, monkeypatch):
+    seen = []
+
+    def run(edges, **_):
+        seen.append(sorted(map(tuple, edges.collect())))
+        return levels.ComponentsResult(None, [{"iteration": 1, "edges": len(seen[-1])}])
+
+    monkeypatch.setattr(graph_queries.levels, "budgeted_components", run)
+    monkeypatch.setattr(graph_queries.B, "exponentiation_components", run)
+    monkeypatch.setattr(graph_queries.B, "label_flood_components", run)
+    graph_queries.compare_methods(spark, "")
+    assert len(seen) == 3 and len(seen[0]) == 200 and seen[0] == seen[1] == seen[2]
+
+
 def with_symbols(i, n):
     """100 words of five letters; n letters, the first of each word and then the second, are pipes."""
     words = [list(f"{i * 100 + k:06d}"[-5:].translate(str.maketrans("0123456789", "abcdefghij"))) for k in range(100)]

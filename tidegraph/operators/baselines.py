@@ -202,5 +202,5 @@ def label_flood_components(edges: DataFrame, vertices: DataFrame | None = None,
         rounds += 1
         labels = nxt.select("vid", "mu")
         if nxt.where("_c").isEmpty():
-            return ComponentsResult(labels.select(F.col("vid").alias("vertex"), F.col("mu").alias("component")), [{"iteration": rounds}])
+            return ComponentsResult(labels.select(F.col("vid").alias("vertex"), F.col("mu").alias("component")), [{"iteration": rounds, "edges": arcs.count() // 2}])
     raise RuntimeError(f"no end after {rounds} rounds")
