@@ -119,7 +119,10 @@ def apply_moves(members: DataFrame, moves: DataFrame) -> DataFrame:
 
 
 def compose_moves(maps: list[DataFrame]) -> DataFrame | None:
-    """One map for a sequence of simultaneous maps, newest first, so sizes grow only towards the start."""
+    """One map for a sequence of simultaneous maps, newest first, so sizes grow only towards the start.
+
+    Each product enters the next step twice, so each is cut: plans stay of one size however many maps there are.
+    """
     later = None
     for moves in reversed(maps):
         moves = moves.select("old", "new")
@@ -128,7 +131,7 @@ def compose_moves(maps: list[DataFrame]) -> DataFrame | None:
             continue
         f = later.select(F.col("old").alias("_o"), F.col("new").alias("_n"))
         now = moves.join(f, F.col("new") == F.col("_o"), "left").select("old", F.coalesce("_n", "new").alias("new"))
-        later = now.unionByName(later.join(moves.select("old"), "old", "left_anti"))
+        later = cut(now.unionByName(later.join(moves.select("old"), "old", "left_anti")))
     return later
 
 
