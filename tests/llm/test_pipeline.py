@@ -103,16 +103,24 @@ def plain_copies(rows, seed=17):
         open_ -= over or open_
     copies = {}
     for s in size:
-        whole = int(target[s] // size[s]) if size[s] else 0
-        left, f = target[s] - whole * size[s], (target[s] / size[s] if size[s] else 0.0) % 1
-        ranked = []
-        for i, source, n in rows:
-            if source == s:
-                copies[i] = whole
-                u = (int(hashlib.md5(f"{seed}:{i}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52
-                ranked.append((u / (1 - u), i, n))
-        upto = 0
-        for _, i, n in sorted(ranked) if f > 0 else []:
+        docs = [(i, n, len(f"{n:b}")) for i, source, n in rows if source == s]
+        capped: set[int] = set()  # weights at two copies; the rest share what these leave by weight
+        while True:
+            free = sum(n * w for _, n, w in docs if w not in capped)
+            rate = (target[s] - 2 * sum(n for _, n, w in docs if w in capped)) / free if free else 0.0
+            over = {w for _, _, w in docs if w not in capped and rate * w > 2}
+            if not over:
+                break
+            capped.add(max(over))
+        mean = {w: 0.0 if not size[s] else 2.0 if w in capped or target[s] >= 2 * size[s] else rate * w for _, _, w in docs}
+        left, upto, ranked = target[s] - sum(int(mean[w]) * n for _, n, w in docs), 0, []
+        for i, n, w in docs:
+            copies[i] = int(mean[w])
+            f = mean[w] % 1
+            u = (int(hashlib.md5(f"{seed}:{i}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52
+            if f > 0:
+                ranked.append(((u / (1 - u)) / (f / (1 - f)), i, n))
+        for _, i, n in sorted(ranked):
             upto += n
             copies[i] += upto <= left or (upto - n / 2 <= left and upto - n < left)
     return copies

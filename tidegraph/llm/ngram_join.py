@@ -29,9 +29,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from tidegraph.functions.session import cut, stored
 from tidegraph.llm.blocks import exchange, short_keys, sums, totals_of, with_blocks
+from tidegraph.llm.keyed import spread
 from tidegraph.llm.textpack import U, by_doc, mix, per_doc, shingle_sets, words_of
 from tidegraph.operators.baselines import hook_contract_components
 from tidegraph.operators.primitives import all_of
@@ -40,14 +42,15 @@ LOCAL = 20_000
 WORDS = 8  # 64-bit words of a set's parity bitmap
 
 
-def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fold: bool, block_bytes: int | None) -> DataFrame:
-    """One row a document: rid (a row number), id, n, sig1, sig2, gid, tokens and places (indexed prefix), shingles (where tokens are)."""
-    picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
+def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fold: bool, block_bytes: int | None, keep: tuple[str, ...] = ()) -> DataFrame:
+    """One row a document: rid (a row number), id, keep columns (_k0 ...), n, sig1, sig2, gid, tokens and places (indexed prefix), shingles (where tokens are)."""
+    picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), *[F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(keep)])
     blocked, blocks = with_blocks(picked, "_id", "_text", block_bytes)
-    id_type = picked.schema["_id"].dataType.simpleString()
     parts = 1 << (max(1, blocks // 2) - 1).bit_length()
     mask = short_keys(parts)  # keys taken for one another make frequencies larger, never smaller: only the index grows
-    schema = f"rid long, _id {id_type}, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>, bits array<long>"
+    schema = T._parse_datatype_string("rid long, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>, bits array<long>")
+    schema = T.StructType([schema[0], *[f for f in picked.schema if f.name != "_text"], *schema[1:]])
+    carried = [f.name for f in picked.schema if f.name.startswith("_k")]
 
     def ask(table: pa.Table) -> dict:
         _, h = shingle_sets(words_of(table["_text"], fold), k)
@@ -78,13 +81,13 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
         lists = lambda at, values: pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), values)
         signed = lambda x: pa.array(x.astype(np.uint64).view(np.int64))
         block = table["_block"][0].as_py() if rows else 0
-        cols = [pa.array((block << 28) + np.arange(rows)), table["_id"], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
+        cols = [pa.array((block << 28) + np.arange(rows)), table["_id"], *[table[c] for c in carried], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
         cols += [lists(found, signed(rare[index])), lists(found, pa.array((place - np.repeat(n - common, n))[index].astype(np.int32))), lists(kept, signed(h[full]))]
         has = np.diff(found) > 0
         cols.append(lists(np.append(0, np.cumsum(has)) * WORDS, signed(bits[np.repeat(has, WORDS)])))
-        return pa.Table.from_arrays(cols, names=["rid", "_id", "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
+        return pa.Table.from_arrays(cols, names=["rid", "_id", *carried, "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
 
-    return exchange(blocked, ask, sums, finish, schema, parts, 5)
+    return exchange(blocked, ask, sums, finish, schema, parts, True)
 
 
 def _needed(a: Column, b: Column, percent: int) -> Column:
@@ -110,14 +113,19 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     whole = sets.select("rid", "n", "shingles")
     left = whole.select(F.col("rid").alias("u"), F.col("n").alias("nu"), F.col("shingles").alias("su"))
     right = whole.select(F.col("rid").alias("v"), F.col("n").alias("nv"), F.col("shingles").alias("sv"))
-    joined = pairs.join(left, "u").join(right, "v")
+    # a pivot has a pair with every member of its cluster: such pairs are dealt over salts, and its set goes to each salt once
+    pairs, left = spread(cut(pairs), left, ["u"])
+    pairs, right = spread(pairs.withColumnRenamed("_salt", "_salt_u"), right, ["v"])
+    joined = pairs.join(left.withColumnRenamed("_salt", "_salt_u"), ["u", "_salt_u"]).join(right, ["v", "_salt"])
     joined = joined.withColumn("i", F.size(F.array_intersect("su", "sv"))).where(100 * F.col("i") >= percent * (F.col("nu") + F.col("nv") - F.col("i")))
     return cut(joined.select("u", "v"))
 
 
-def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, percent: int = 80, fold: bool = True, block_bytes: int | None = None) -> DataFrame:
-    """One row a document: id, n_shingles, component_id (least id reachable by links), first (one row a component)."""
-    sets = stored(_sets(docs, id_col, text_col, k, percent, fold, block_bytes), "shingle-sets")
+def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, percent: int = 80, fold: bool = True, block_bytes: int | None = None, keep: tuple[str, ...] = ()) -> DataFrame:
+    """One row a document: id, keep columns, n_shingles, component_id (least id reachable by links), first (one row a component)."""
+    if {"n_shingles", "component_id", "first"} & {id_col, *keep}:
+        raise ValueError("columns clash with results: n_shingles, component_id, first")
+    sets = stored(_sets(docs, id_col, text_col, k, percent, fold, block_bytes, keep), "shingle-sets")
     some = sets.where("n > 0").select("rid", "_id", "n", "sig1", "sig2")
     classes = cut(some.groupBy("sig1", "sig2").agg(F.min("rid").alias("rep"), F.count("*").alias("copies")))
     spare = some.join(classes.where("copies > 1").select("sig1", "sig2", "rep"), ["sig1", "sig2"]).where("rid <> rep").select("rid")
@@ -128,9 +136,10 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     groups = entries.groupBy("token", "gid", "n", "a", "place").agg(F.min("rid").alias("lead"))
     band = F.floor(F.ln(F.col("n")) / F.lit(0.1))
-    lists = groups.withColumn("band", band)
+    lists = cut(groups.withColumn("band", band))
     pivots = lists.groupBy("token", "band").agg(F.min(F.struct((F.col("n") - F.col("a")).alias("own"), F.xxhash64("gid").alias("h"), "gid", "n", "a", "place", "lead")).alias("p"), F.count("*").alias("c")).where("c > 1").select("token", "band", "p.gid", "p.n", "p.a", "p.place", "p.lead")
-    star = lists.alias("x").join(pivots.alias("y"), ["token", "band"]).where((F.col("x.lead") != F.col("y.lead")) & _may_link("x", "y", percent))
+    dealt, pivots = spread(lists, pivots, ["token", "band"])
+    star = dealt.alias("x").join(pivots.alias("y"), ["token", "band", "_salt"]).where((F.col("x.lead") != F.col("y.lead")) & _may_link("x", "y", percent))
     star = star.select(F.least("x.lead", "y.lead").alias("u"), F.greatest("x.lead", "y.lead").alias("v"))
     leads = members.groupBy("gid").agg(F.min("rid").alias("u"))
     inner = members.select("rid", "gid").join(leads, "gid").where("rid <> u").select("u", F.col("rid").alias("v"))
@@ -145,7 +154,8 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     maps = inside.groupBy("gid", "comp").agg(F.when(F.count("*") == 1, F.any_value("bits")).alias("bits"))
     mixed = cut(placed.join(main, "token").join(maps, ["gid", "comp"]))
     minor = mixed.where("comp <> main")
-    rest = minor.alias("x").join(mixed.alias("y"), "token").where((F.col("x.comp") != F.col("y.comp")) & _may_link("x", "y", percent) & _differ_little("x.bits", "y.bits", "x.n", "y.n", percent))
+    dealt, minor = spread(mixed, minor, ["token"])
+    rest = minor.alias("x").join(dealt.alias("y"), ["token", "_salt"]).where((F.col("x.comp") != F.col("y.comp")) & _may_link("x", "y", percent) & _differ_little("x.bits", "y.bits", "x.n", "y.n", percent))
     rest = rest.select(*[F.col(f"{a}.{c}").alias(f"{c}_{a}") for a in "xy" for c in ("gid", "comp")]).distinct()
     for a, name in (("x", "p"), ("y", "q")):
         rest = rest.join(inside.select(F.col("gid").alias(f"gid_{a}"), F.col("comp").alias(f"comp_{a}"), F.col("rid").alias(name), F.col("n").alias(f"n_{name}"), F.col("bits").alias(f"bits_{name}")), [f"gid_{a}", f"comp_{a}"])
@@ -157,5 +167,7 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     named = named.join(labels, F.col("rep") == F.col("vertex"), "left").select("rid", "_id", "n", F.coalesce("component", "rep", "rid").alias("comp"))
     named = cut(named)
     least = named.groupBy("comp").agg(F.min("_id").alias("component_id"), F.min(F.when(F.col("_id").isNotNull(), F.struct("_id", "rid")))["rid"].alias("r1"), F.min("rid").alias("r2"))
-    out = named.join(least, "comp")
-    return out.select(F.col("_id").alias(id_col), F.col("n").alias("n_shingles"), "component_id", (F.col("rid") == F.coalesce("r1", "r2")).alias("first"))
+    out = named.join(least, "comp").withColumn("first", F.col("rid") == F.coalesce("r1", "r2"))
+    if keep:
+        out = sets.select("rid", *[f"_k{i}" for i in range(len(keep))]).join(out, "rid")
+    return out.select(F.col("_id").alias(id_col), *[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)], F.col("n").alias("n_shingles"), "component_id", "first")

@@ -51,7 +51,9 @@ def op6_lz_fingerprint(spark, sf_dir):
 
 
 def op7_backoff_scores(spark, sf_dir):
-    return ngram_lm.backoff_scores(documents(spark, sf_dir))
+    """The sums are rounded, as their last digits depend on the order of addition."""
+    scored = ngram_lm.backoff_scores(documents(spark, sf_dir))
+    return scored.select("doc_id", "n_words", "n_backoff", *[F.round(c, 6).alias(c) for c in ("log10_sum", "score")])
 
 
 def op8_sentence_pieces(spark, sf_dir):
@@ -81,12 +83,18 @@ num AS (SELECT *, (row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % 3 A
 wts AS (SELECT source, source_size, CASE k WHEN 0 THEN 3 WHEN 1 THEN 1 ELSE 2 END AS w, source_size * 2 AS cap FROM num),
 step AS (SELECT *, (1.5::DOUBLE * CAST(sum(source_size) OVER () AS DOUBLE) - CAST(coalesce(sum(cap) OVER (ORDER BY cap / w, source ASC NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS DOUBLE))
   / CAST(sum(w) OVER (ORDER BY cap / w, source ASC NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS DOUBLE) AS rate FROM wts),
-lev AS (SELECT arg_min(rate, cap / w) AS lev FROM step WHERE rate <= cap / w),
+lev AS (SELECT max(rate) AS lev FROM step WHERE rate <= cap / w),
 tgt AS (SELECT source, source_size, least(CAST(cap AS DOUBLE), coalesce((SELECT lev FROM lev), 'infinity'::DOUBLE) * w) AS target FROM step),
-p AS (SELECT d.doc_id, d.size, t.source_size, t.target, d.source, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0.0::DOUBLE END AS pi,
+cls AS (SELECT source, length(bin(size)) AS w, CAST(sum(size) AS BIGINT) AS words FROM d GROUP BY ALL),
+lift AS (SELECT c.source, w, words, source_size, target, (target - CAST(coalesce(sum(words) OVER (PARTITION BY c.source ORDER BY w DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) * 2 AS DOUBLE))
+  / CAST(sum(words * w) OVER (PARTITION BY c.source ORDER BY w DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS DOUBLE) AS rate FROM cls c JOIN tgt t ON c.source IS NOT DISTINCT FROM t.source),
+fit AS (SELECT *, (SELECT arg_max(l.rate, l.w) FROM lift l WHERE l.source IS NOT DISTINCT FROM lift.source AND l.rate * l.w <= 2) AS lev FROM lift),
+cop AS (SELECT *, CASE WHEN source_size = 0 THEN 0.0::DOUBLE WHEN target >= source_size * 2 THEN 2.0::DOUBLE ELSE least(2.0::DOUBLE, coalesce(lev, 'infinity'::DOUBLE) * w) END AS pi FROM fit),
+lef AS (SELECT *, target - CAST(sum(floor(pi) * words) OVER (PARTITION BY source) AS DOUBLE) AS rest FROM cop),
+p AS (SELECT d.doc_id, d.size, t.source_size, t.target, d.source, t.pi, t.rest,
   (CAST(('0x' || substr(md5('17:' || CAST(doc_id AS VARCHAR)), 1, 13)) AS BIGINT) + 0.5::DOUBLE) / 4503599627370496.0::DOUBLE AS u
-  FROM d JOIN tgt t ON d.source IS NOT DISTINCT FROM t.source),
-f AS (SELECT *, floor(pi) AS whole, pi - floor(pi) AS f, target - CAST(floor(pi) * source_size AS DOUBLE) AS rest FROM p),
+  FROM d JOIN lef t ON d.source IS NOT DISTINCT FROM t.source AND length(bin(d.size)) = t.w),
+f AS (SELECT *, floor(pi) AS whole, pi - floor(pi) AS f FROM p),
 q AS (SELECT *, CASE WHEN f > 0 THEN (u / (1 - u)) / (f / (1 - f)) END AS q FROM f),
 c AS (SELECT *, sum(size) OVER (PARTITION BY source ORDER BY q, doc_id, size ROWS UNBOUNDED PRECEDING) AS upto FROM q)
 SELECT doc_id, size, source_size, target, CAST((whole + CASE WHEN f > 0 AND (upto <= rest OR (upto - size / 2 <= rest AND upto - size < rest)) THEN 1 ELSE 0 END) * size AS BIGINT) AS taken FROM c
@@ -106,5 +114,41 @@ FROM m WHERE k = 1
 """
 
 
+WORDS = rf"t AS (SELECT doc_id, text, coalesce(regexp_extract_all(text, '{W}'), []) AS w FROM documents)"
+
+_OP5 = rf"""
+WITH RECURSIVE t AS (SELECT doc_id, coalesce(regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{W}'), []) AS w FROM documents),
+sh AS MATERIALIZED (SELECT DISTINCT doc_id, g FROM (
+  SELECT doc_id, unnest(list_transform(range(1, len(w) - 2), lambda i: array_to_string(w[i:i + 3], ' '))) AS g FROM t WHERE len(w) >= 4
+  UNION ALL SELECT doc_id, array_to_string(w, ' ') FROM t WHERE len(w) BETWEEN 1 AND 3)),
+n AS MATERIALIZED (SELECT doc_id, count(*) AS n FROM sh GROUP BY doc_id),
+arcs AS MATERIALIZED (SELECT a.doc_id AS src, b.doc_id AS dst FROM sh a JOIN sh b ON a.g = b.g AND a.doc_id <> b.doc_id JOIN n x ON x.doc_id = a.doc_id JOIN n y ON y.doc_id = b.doc_id
+  WHERE 100 * least(x.n, y.n) >= 85 * greatest(x.n, y.n) GROUP BY 1, 2, x.n, y.n HAVING 100 * count(*) >= 85 * (x.n + y.n - count(*))),
+cc(id, comp) USING KEY (id) AS (SELECT DISTINCT src, src FROM arcs UNION
+  (SELECT a.dst, min(c.comp) FROM cc c JOIN arcs a ON a.src = c.id JOIN recurring.cc r ON r.id = a.dst WHERE c.comp < r.comp GROUP BY a.dst))
+SELECT t.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, coalesce(cc.comp, t.doc_id) AS component_id FROM t LEFT JOIN n USING (doc_id) LEFT JOIN cc ON cc.id = t.doc_id
+"""
+
+_OP7 = rf"""
+WITH {WORDS},
+p AS MATERIALIZED (SELECT doc_id, i, w[i] AS w1, CASE WHEN i > 1 THEN w[i - 1] || ' ' || w[i] END AS w2, CASE WHEN i > 1 THEN w[i - 1] END AS w0 FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM t)),
+c1 AS (SELECT w1, count(*) AS c FROM p GROUP BY w1), c2 AS (SELECT w2, count(*) AS c FROM p WHERE w2 IS NOT NULL GROUP BY w2),
+s AS (SELECT p.doc_id, i, coalesce(c2.c >= 2, false) AS hit, CASE WHEN c2.c >= 2 THEN log10(c2.c / c0.c) ELSE log10(c1.c / (SELECT count(*) FROM p)) + CASE WHEN i > 1 THEN log10(0.4::DOUBLE) ELSE 0 END END AS v
+  FROM p JOIN c1 ON c1.w1 = p.w1 LEFT JOIN c2 ON c2.w2 = p.w2 LEFT JOIN c1 c0 ON c0.w1 = p.w0),
+d AS (SELECT doc_id, count(*) FILTER (NOT hit AND i > 1) AS b, sum(v) AS v, count(*) AS n FROM s GROUP BY doc_id)
+SELECT t.doc_id, CAST(len(t.w) AS BIGINT) AS n_words, CAST(coalesce(b, 0) AS BIGINT) AS n_backoff, round(coalesce(v, 0.0::DOUBLE), 6) AS log10_sum, round(v / n, 6) AS score FROM t LEFT JOIN d USING (doc_id)
+"""
+
+_OP10 = rf"""
+WITH {WORDS},
+win AS (SELECT doc_id, i, array_to_string(w[i:i + 19], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 18)) AS i FROM t WHERE len(w) >= 20)),
+again AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY g ORDER BY doc_id, i) AS r FROM win) WHERE r > 1),
+gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 20)) AS j FROM again),
+kept AS (SELECT t.doc_id, j, x FROM (SELECT doc_id, unnest(range(1, len(w) + 1)) AS j, unnest(w) AS x FROM t) t ANTI JOIN gone USING (doc_id, j)),
+txt AS (SELECT doc_id, string_agg(x, ' ' ORDER BY j) AS s, count(*) AS k FROM kept GROUP BY doc_id)
+SELECT t.doc_id, CAST(len(t.w) AS BIGINT) AS n_words, CAST(len(t.w) - coalesce(k, 0) AS BIGINT) AS n_removed, sha256(coalesce(s, '')) AS kept_sha256 FROM t LEFT JOIN txt USING (doc_id)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op3_pareto_mix": _OP3, "op4_url_rules": _OP4}
+    return {"op3_pareto_mix": _OP3, "op4_url_rules": _OP4, "op5_ngram_jaccard": _OP5, "op7_backoff_scores": _OP7, "op10_substring_dedup": _OP10}

@@ -12,8 +12,8 @@ Records with equal payloads (same SHA-256 and length) of at least `revisit_from`
 the least id; the others are revisit records that refer to it.
 
 Cases: null html is an empty payload; null url is written as an empty target. A null id is sorted first and
-named "null"; repeated ids are separate records (a repeated row with the least id is a response once
-more). Empty tables give an archive with an empty manifest. Extra columns are ignored.
+named "null" (it revisits the least id that is not null, and is a response where all are null); repeated ids are separate records (a
+repeated row with the least id is a response once more). Empty tables give an archive with an empty manifest. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,14 +26,16 @@ import uuid
 import zlib
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidegraph.functions.session import shared_dir, stored
+from tidegraph.functions.session import scratch_path, stored
+from tidegraph.llm.blocks import range_of
 
 MANIFEST = "shard long, part int, path string, records long, bytes long, sha256 string"
-SAMPLE = 64  # ids sampled for each shard
-MOST_SHARDS = 4096
+SAMPLE = 64  # ids sampled for each shard, fewer beyond 16,384 shards
+MOST_SAMPLE = 1 << 20
+MOST_SHARDS = 65536  # bounds that a plan holds; 64 MB each up to 4 TB, beyond it a task streams more (1.5 GB at 100 TB), in files of roll_bytes as ever
 DATE = "2024-01-01T00:00:00Z"
 
 
@@ -71,18 +73,6 @@ def _rows_of(batches, step: int = 256):
             yield from batch.slice(at, step).to_pylist()
 
 
-def _range_of(key: Column, bounds: list[int]) -> Column:
-    """How many of the sorted bounds are at most key, in two steps of about sqrt(len(bounds)) comparisons each."""
-    if not bounds:
-        return F.lit(0)
-    step = math.isqrt(len(bounds) - 1) + 1
-    longs = lambda xs: F.array(*[F.lit(x).cast("long") for x in xs])
-    upto = lambda xs: F.size(F.filter(xs, lambda b: b <= key))
-    heads = F.size(F.filter(longs(bounds[::step]), lambda b: b <= key))
-    inner = F.array(*[longs(bounds[i : i + step]) for i in range(0, len(bounds), step)])
-    return F.when(heads == 0, F.lit(0)).otherwise((heads - 1) * step + upto(F.get(inner, heads - 1)))
-
-
 def _writer(folder: str, roll_bytes: int):
     def run(batches):
         rows: dict[str, list] = {k: [] for k in ("shard", "part", "path", "records", "bytes", "sha256")}
@@ -140,12 +130,12 @@ def write_archive(pages: DataFrame, folder: str, id_col: str = "page_id", url_co
     keyed = stored(rows.select("_id", F.unhex(F.sha2(payload, 256)).alias("_same"), F.octet_length(payload).cast("long").alias("_n")), "warc-keys")
     total = keyed.agg(F.sum("_n")).first()[0] or 0
     shards = int(min(MOST_SHARDS, max(1, -(-total // shard_bytes))))
-    sample = sorted(r["_id"] for r in keyed.where("_id is not null").select("_id", F.xxhash64("_id").alias("h")).orderBy("h", "_id").limit(SAMPLE * shards).collect()) if shards > 1 else []
+    sample = sorted(r["_id"] for r in keyed.where("_id is not null").select("_id", F.xxhash64("_id").alias("h")).orderBy("h", "_id").limit(min(SAMPLE * shards, MOST_SAMPLE)).collect()) if shards > 1 else []
     bounds = sorted({sample[len(sample) * i // shards] for i in range(1, shards)}) if sample else []
     # only the keys of repeated payloads are joined; the payloads themselves are shuffled once, together with these tags
     copies = keyed.where(F.col("_n") >= revisit_from).groupBy("_same", "_n").agg(F.min("_id").alias("_to"), F.count("*").alias("c")).where("c > 1").drop("c")
-    tags = keyed.join(copies, ["_same", "_n"]).where("_id <> _to").select("_id", "_same", "_to").distinct()
-    shard = F.when(F.col("_id").isNull(), 0).otherwise(_range_of(F.col("_id"), bounds)).cast("int")
+    tags = keyed.join(copies, ["_same", "_n"]).where("not _id <=> _to").select("_id", "_same", "_to").distinct()
+    shard = F.when(F.col("_id").isNull(), 0).otherwise(range_of(F.col("_id"), bounds)).cast("int")
     ready = tags.select(F.lit(0).alias("_kind"), "_id", F.lit(None).cast("string").alias("_url"), F.lit(None).cast("string").alias("_html"), "_same", "_to")
     ready = ready.unionByName(rows.select(F.lit(1).alias("_kind"), "*"), allowMissingColumns=True).withColumn("_shard", shard)
     ready = ready.repartitionById(shards, F.col("_shard")).sortWithinPartitions("_id", "_kind", "_url", "_html")
@@ -207,13 +197,14 @@ def read_archive(spark: SparkSession, folder: str, payloads: bool = False) -> Da
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, (pa.string(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.bool_(), pa.string()), strict=True)], names=names)
 
     files = manifest.select("path")
-    return files.repartition(max(1, min(1000, spark.sparkContext.defaultParallelism * 2))).mapInArrow(run, RECORDS)
+    n = files.count()  # about eight files to a task, but no fewer tasks than there are cores for
+    return files.repartition(max(1, min(n, spark.sparkContext.defaultParallelism * 2), -(-n // 8))).mapInArrow(run, RECORDS)
 
 
 def archived(pages: DataFrame, folder: str | None = None, **options) -> DataFrame:
     """Writes pages and reads the archive back: page_id, payload_bytes, payload_digest, record_type, refers_to, verified."""
     spark = pages.sparkSession
-    folder = folder or f"{shared_dir(spark).rstrip('/')}/warc-{uuid.uuid4().hex}"
+    folder = folder or scratch_path(spark, "warc")
     write_archive(pages, folder, **options)
     back = read_archive(spark, folder)
     as_id = lambda c: F.when(F.col(c) != "null", F.col(c).cast("long"))
