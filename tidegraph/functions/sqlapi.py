@@ -52,3 +52,33 @@ def component_rollup(labels: DataFrame, attributes: DataFrame, dims: list[str],
 
 def numbered(labels: DataFrame) -> DataFrame:
     return labels.withColumn("rank", F.row_number().over(Window.partitionBy("component").orderBy("vertex")))
+
+
+def component_grouping_sets(labels: DataFrame, attributes: DataFrame, sets: list[list[str]]) -> DataFrame:
+    """Vertices and components by any sets of attributes(vertex, ...)."""
+    dims = list(dict.fromkeys(x for s in sets for x in s))
+    return attributes.join(labels, "vertex").groupingSets([[F.col(x) for x in s] for s in sets], *dims).agg(F.count("*").alias("vertices"), F.count_distinct("component").alias("components"))
+
+
+def approx_components(labels: DataFrame, rsd: float = 0.05) -> DataFrame:
+    """The number of components by a sketch of bounded size."""
+    return labels.agg(F.approx_count_distinct("component", rsd).alias("components"))
+
+
+def two_hop_size_estimate(arcs: DataFrame, shares: tuple[float, ...] = (0.5, 0.9, 0.99)) -> DataFrame:
+    """Quantiles of the wedges at a vertex, before a linking step: how large the two-hop join would be."""
+    deg = arcs.groupBy("src").agg(F.count("*").alias("degree"))
+    return deg.agg(F.percentile_approx(F.col("degree") * F.col("degree"), list(shares), 10_000).alias("wedges"))
+
+
+def register_path_vertices(spark: SparkSession) -> None:
+    """SQL table function path_vertices(n): 0 .. n - 1."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="vid long")
+    class PathVertices:
+        def eval(self, n: int):
+            for i in range(n):
+                yield (i,)
+
+    spark.udtf.register("path_vertices", PathVertices)

@@ -179,7 +179,7 @@ def random_mate_components(edges: DataFrame, vertices: DataFrame | None = None,
         if m == 0:
             return ComponentsResult(canonical(everyone, compose_moves(log), None), trace)
         moves = random_mate_moves(arcs, seed, i)
-        log.append(cut(moves.where(coin01(F.col("old"), seed, i, "bound") < 1 / 3) if bounded else moves))
+        log.append(cut(moves.where(coin01(F.col("old"), seed, i, "bound") < 1 / 3) if bounded else moves))  # cut: later rounds and the composition read it
         arcs = cut(contract(arcs, log[-1]))
     raise RuntimeError(f"no end after {max_rounds} rounds")
 

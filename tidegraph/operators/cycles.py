@@ -14,9 +14,13 @@ from tidegraph.operators.primitives import contract, symmetrize
 
 
 def kept_edges(edges: DataFrame, n: int, d_prime: int, seed: int, kind: str = "xx") -> DataFrame:
-    """Each edge goes with probability min(1, 2 ln n / D')."""
+    """Each edge goes with probability min(1, 2 ln n / D'), by a coin on its two ends in order (any ids)."""
     p = min(1.0, 2 * math.log(max(n, 2)) / d_prime)
-    return edges.where(coin01(F.least("u", "v") * 4_000_037 + F.greatest("u", "v"), seed, "cycle", kind=kind) >= p)
+    if kind == "md5":
+        key = F.concat_ws("-", F.least("u", "v").cast("string"), F.greatest("u", "v").cast("string"))
+    else:
+        key = F.xxhash64(F.least("u", "v"), F.greatest("u", "v"))
+    return edges.where(coin01(key, seed, "cycle", kind=kind) >= p)
 
 
 def shrink_cycles_once(edges: DataFrame, d_prime: int, seed: int = 0, solver=connected_components, kind: str = "xx") -> tuple[DataFrame, DataFrame, dict]:

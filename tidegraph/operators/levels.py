@@ -15,8 +15,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tidegraph.functions.coins import coin01
+from tidegraph.functions.keyed import spread
 from tidegraph.functions.session import cut
-from tidegraph.operators.primitives import compose_moves, contract, symmetrize, with_levels
+from tidegraph.operators.primitives import compose_moves, symmetrize, with_levels
 
 
 @dataclass(frozen=True)
@@ -46,8 +47,13 @@ class SpaceBudget:
 
 
 def plan_budget(n: int, m: int, cfg: LevelConfig = LevelConfig()) -> SpaceBudget:
-    """Total space m + n ln^alpha n and first budget sqrt(space / n); budgets below 2 would never grow."""
-    space = cfg.space or m + n * math.log(max(n, 3)) ** cfg.alpha
+    """Total space and first budget sqrt(space / n); budgets below 2 would never grow.
+
+    The space is m + n ln^alpha n, but at least n (rate ln n)^4: from a first budget of (rate ln n)^2 on, a leader's squared
+    budget b^2.5 is paid for by the b / (rate ln n) vertices that join it. That is what `alpha large enough` means at finite n.
+    """
+    log = math.log(max(n, 3))
+    space = cfg.space or m + n * max(log**cfg.alpha, (cfg.leader_rate * log) ** 4)
     beta0 = cfg.beta0 if cfg.beta0 is not None else max(2.0, math.sqrt(space / max(n, 1)))
     if beta0 < 2:
         raise ValueError("the first budget must be 2 or more")
@@ -64,6 +70,11 @@ class State:
     log: list[DataFrame] = field(default_factory=list)
     done: list[DataFrame] = field(default_factory=list)  # vid, mu of finished cliques
     trace: list[dict] = field(default_factory=list)
+    leveled: DataFrame | None = None  # arcs with level and active flag of both ends, where a step left them
+
+    @property
+    def seen(self) -> DataFrame:
+        return self.leveled if self.leveled is not None else with_levels(self.arcs, self.verts)
 
     def beta(self, level: Column) -> Column:
         return F.pow(F.lit(float(self.budget.beta0)), F.pow(F.lit(self.cfg.exponent), level))
@@ -114,32 +125,46 @@ def _order(state: State, col: str = "u") -> list:
     return [F.col(col)] if state.cfg.pick == "min_id" else [F.xxhash64(F.col(col), F.lit(state.cfg.seed), F.lit(state.iteration)), F.col(col)]
 
 
+LARGE = 1_000_000  # arcs from which hubs are looked for
+ENDS = ("src", "dst", "sl", "sa", "dl", "da")
+
+
 def link_two_hops(state: State, leveled: DataFrame | None = None) -> DataFrame:
-    """arcs with each active vertex filled up to its capacity from its two-hop set.
+    """arcs with each active vertex filled up to its capacity from its two-hop set."""
+    return link_leveled(state, leveled if leveled is not None else cut(state.seen)).select("src", "dst")
+
+
+def link_leveled(state: State, leveled: DataFrame) -> DataFrame:
+    """The same on arcs that carry the levels of their ends, which the new arcs get too.
 
     Middle lists are cut at capacity + 1 before the wedge join: a full list alone fills v, as at most d_v
-    of it are neighbours and one is v. So wedges stay within the sum of squared capacities.
+    of it are neighbours and one is v. So wedges stay within the sum of squared capacities. On large graphs the cut has a
+    literal bound too (that of the highest level), so a hub's list is cut before it is shuffled, and the wedges at a hub are dealt over salts.
     """
     cfg = state.cfg
-    leveled = leveled if leveled is not None else cut(with_levels(state.arcs, state.verts))
     if cfg.rule not in ("exact", "mpc", "skip_lifted"):
         raise ValueError(f"unknown rule: {cfg.rule}")
-    near = "sl = dl" if cfg.rule == "exact" else "dl >= sl"
-    d = degree_at_or_above(leveled)
-    own = leveled.select("src", "sl", "sa").distinct()
-    room = own.join(d, "src").where("sa").withColumn("room", state.cap(F.col("sl")) - F.col("d")).where("room > 0").select(F.col("src").alias("v"), F.col("sl").alias("vl"), "room")
-    if cfg.rule == "skip_lifted":
-        room = room.join(leveled.where("dl > sl").select(F.col("src").alias("v")).distinct(), "v", "left_anti")
+    exact, large = cfg.rule == "exact", 2 * state.budget.m > LARGE
+    room = leveled.groupBy(F.col("src").alias("v"), F.col("sl").alias("vl"), F.col("sa").alias("va")).agg(F.count_if(F.col("dl") >= F.col("sl")).alias("d"), F.max("dl").alias("top"))
+    room = room.where("va").withColumn("room", state.cap(F.col("vl")) - F.col("d")).where("room > 0" + (" and top <= vl" if cfg.rule == "skip_lifted" else "")).select("v", "vl", "room")
     # w's neighbours as seen from w: those on w's level (exact), or on at least v's level (others)
-    lists = leveled.where("sl = dl" if cfg.rule == "exact" else "dl >= 0").select(F.col("src").alias("w"), F.col("dst").alias("u"), F.col("dl").alias("ul"))
-    cut_by = Window.partitionBy("w", *([] if cfg.rule == "exact" else ["ul"])).orderBy(*_order(state))
-    lists = lists.withColumn("_r", F.row_number().over(cut_by)).where(F.col("_r") <= state.cap(F.col("ul")) + 1).drop("_r")
-    hops = leveled.where(near).select(F.col("src").alias("v"), F.col("dst").alias("w")).join(room, "v")
-    wedge = hops.join(lists, "w").where("u <> v" + (" and ul = vl" if cfg.rule == "exact" else " and ul >= vl")).select("v", "u", "room").distinct()
-    new = wedge.join(state.arcs.select(F.col("src").alias("v"), F.col("dst").alias("u")), ["v", "u"], "left_anti")
+    lists = (leveled.where("sl = dl") if exact else leveled).select(F.col("src").alias("w"), F.col("dst").alias("u"), F.col("dl").alias("ul"), F.col("da").alias("ua"))
+    lists = lists.withColumn("_r", F.row_number().over(Window.partitionBy("w", *([] if exact else ["ul"])).orderBy(*_order(state))))
+    if large:
+        top = leveled.agg(F.max("sl")).first()[0] or 0
+        lists = lists.where(F.col("_r") <= int(min(state.budget.beta0 ** (cfg.exponent**top), 2**31 - 2)) + 1)
+    lists = lists.where(F.col("_r") <= state.cap(F.col("ul")) + 1).drop("_r")
+    hops = leveled.where("sl = dl" if exact else "dl >= sl").select(F.col("src").alias("v"), F.col("dst").alias("w")).join(room, "v")
+    on = ["w"]
+    if large:
+        hops, lists = spread(cut(hops), cut(lists), ["w"])
+        on = ["w", "_salt"]
+    wedge = hops.join(lists, on).where("u <> v" + (" and ul = vl" if exact else " and ul >= vl")).select("v", "u", "vl", "ul", "ua", "room").distinct()
+    new = wedge.join(leveled.select(F.col("src").alias("v"), F.col("dst").alias("u")), ["v", "u"], "left_anti")
     new = new.withColumn("_r", F.row_number().over(Window.partitionBy("v").orderBy(*_order(state)))).where("_r <= room")
-    both = new.select(F.col("v").alias("src"), F.col("u").alias("dst"))
-    return state.arcs.unionByName(both).unionByName(both.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
+    there = new.select(F.col("v").alias("src"), F.col("u").alias("dst"), F.col("vl").alias("sl"), F.lit(True).alias("sa"), F.col("ul").alias("dl"), F.col("ua").alias("da"))
+    back = there.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("dl").alias("sl"), F.col("da").alias("sa"), F.col("sl").alias("dl"), F.col("sa").alias("da"))
+    return leveled.select(*ENDS).unionByName(there).unionByName(back).distinct()
 
 
 def best_neighbor(leveled: DataFrame) -> DataFrame:
@@ -153,15 +178,42 @@ def lift_moves(leveled: DataFrame) -> DataFrame:
     return best_neighbor(leveled.where("dl > sl")).select(F.col("v").alias("old"), F.col("h").alias("new"))
 
 
+def renamed(leveled: DataFrame, changes: DataFrame) -> DataFrame:
+    """Contraction of arcs with levels: changes(old, new, level, active), one step; a vertex that stays but changes has itself as new."""
+    out = leveled
+    for end, level, active in (("src", "sl", "sa"), ("dst", "dl", "da")):
+        own = changes.select(F.col("old").alias("_o"), F.col("new").alias("_n"), F.col("level").alias("_l"), F.col("active").alias("_a"))
+        out = out.join(own, F.col(end) == F.col("_o"), "left").withColumns({end: F.coalesce("_n", end), level: F.coalesce("_l", level), active: F.coalesce("_a", active)}).drop("_o", "_n", "_l", "_a")
+    return out.where("src <> dst").select(*ENDS).distinct()
+
+
+def lift_leveled(leveled: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """(arcs with levels, moves or None). A vertex that moves and is moved to stays as an inactive one."""
+    best = leveled.where("dl > sl").groupBy("src").agg(F.max(F.struct(F.col("dl").alias("l"), (-F.col("dst")).alias("i"), F.col("da").alias("a"))).alias("b"))
+    moves = cut(best.select(F.col("src").alias("old"), (-F.col("b.i")).alias("new"), F.col("b.l").alias("level"), F.col("b.a").alias("active")))
+    if moves.isEmpty():
+        return leveled, None
+    gone = moves.select(F.col("old").alias("_g"))
+    changes = moves.join(gone, F.col("new") == F.col("_g"), "left").select("old", "new", "level", (F.col("active") & F.col("_g").isNull()).alias("active"))
+    return cut(renamed(leveled, changes)), moves.select("old", "new")
+
+
+def advanced(verts: DataFrame, leveled: DataFrame, lifted: DataFrame | None, changes: DataFrame | None) -> DataFrame:
+    """verts after a step: lifted ones are inactive and go when no arc is left; contracted ones go; leaders rise."""
+    out = verts
+    if lifted is not None:
+        out = out.join(lifted.select(F.col("old").alias("_o")), F.col("vid") == F.col("_o"), "left").select("vid", "level", (F.col("active") & F.col("_o").isNull()).alias("active"))
+    if changes is not None:
+        out = out.join(changes.where("old <> new").select(F.col("old").alias("vid")), "vid", "left_anti")
+        out = out.join(changes.where("old = new").select(F.col("old").alias("vid"), F.col("level").alias("_l")), "vid", "left").select("vid", F.coalesce("_l", "level").alias("level"), "active")
+    return drop_isolated_inactive(out, leveled)
+
+
 def lift_to_higher_level(state: State) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(arcs, verts, moves): one direct rename each, chains are left for the next iteration."""
-    moves = cut(lift_moves(with_levels(state.arcs, state.verts)))
-    if moves.isEmpty():
-        return state.arcs, cut(drop_isolated_inactive(state.verts, state.arcs)) if state.log else state.verts, moves
-    arcs = cut(contract(state.arcs, moves))
-    verts = state.verts.join(moves.select(F.col("old").alias("vid"), F.lit(True).alias("_m")), "vid", "left")
-    verts = verts.select("vid", "level", (F.col("active") & F.col("_m").isNull()).alias("active"))
-    return arcs, cut(drop_isolated_inactive(verts, arcs)), moves
+    leveled, moves = lift_leveled(cut(state.seen))
+    moves_or_none = moves if moves is not None else state.arcs.select(F.col("src").alias("old"), F.col("dst").alias("new")).limit(0)
+    return leveled.select("src", "dst"), cut(advanced(state.verts, leveled, moves, None)), moves_or_none
 
 
 def drop_isolated_inactive(verts: DataFrame, arcs: DataFrame) -> DataFrame:
@@ -196,34 +248,44 @@ def leader_within_two_hops(leveled: DataFrame, leaders: DataFrame) -> DataFrame:
     return out.where("v <> leader")
 
 
-def contract_saturated(state: State) -> tuple[DataFrame, DataFrame, DataFrame, dict]:
-    """(arcs, verts, moves, counters): promotion and moves are decided on the state as it was and applied together."""
-    leveled = cut(with_levels(state.arcs, state.verts))
+def contract_leveled(state: State, leveled: DataFrame) -> tuple[DataFrame, DataFrame | None, dict]:
+    """(arcs with levels, changes or None, counters): promotion and moves are decided on the state as it was and applied together.
+
+    promoted: leaders by the level they leave. A saturated vertex without a leader in reach (unled) keeps its place and draws again.
+    """
     direct = cut(saturated_direct(state, leveled))
     if direct.isEmpty():
-        return state.arcs, state.verts, None, {"saturated": 0, "leaders": 0, "unled": 0}
-    sat = cut(saturated_spread(leveled, direct))
-    leaders = cut(draw_leaders(state, sat))
-    seek = sat.join(leaders.select("v"), "v", "left_anti")
-    moves = cut(leader_within_two_hops(leveled, leaders).join(seek.select("v"), "v", "left_semi").select(F.col("v").alias("old"), F.col("leader").alias("new")))
-    n_sat, n_lead, n_moved = sat.count(), leaders.count(), moves.count()
-    arcs = cut(contract(state.arcs, moves)) if n_moved else state.arcs
-    up = leaders.select(F.col("v").alias("vid"), F.lit(1).alias("_up"))
-    verts = state.verts.join(moves.select(F.col("old").alias("vid")), "vid", "left_anti").join(up, "vid", "left").select("vid", (F.col("level") + F.coalesce("_up", F.lit(0))).alias("level"), "active")
-    return arcs, cut(verts), moves, {"saturated": n_sat, "leaders": n_lead, "unled": n_sat - n_lead - n_moved}
+        return leveled, None, {"saturated": 0, "leaders": 0, "unled": 0, "contracted": 0, "two_hop": 0, "promoted": {}}
+    sat = saturated_spread(leveled, direct)
+    drawn = draw_leaders(state, sat).select("v", F.lit(True).alias("leader"))
+    sat = cut(sat.join(drawn, "v", "left").withColumn("leader", F.coalesce("leader", F.lit(False))))
+    leaders = sat.where("leader").select("v", "level")
+    found = leader_within_two_hops(leveled, leaders).join(sat.where("not leader").select("v", "level"), "v")
+    changes = cut(found.select(F.col("v").alias("old"), F.col("leader").alias("new"), (F.col("level") + 1).alias("level"), F.lit(True).alias("active"), "hops").unionByName(leaders.select(F.col("v").alias("old"), F.col("v").alias("new"), (F.col("level") + 1).alias("level"), F.lit(True).alias("active"), F.lit(0).alias("hops"))))
+    n_sat = sat.count()
+    rows = changes.groupBy("level", "hops").count().collect()
+    led, up = sum(r["count"] for r in rows), {r["level"] - 1: r["count"] for r in rows if r["hops"] == 0}
+    seen = {"saturated": n_sat, "leaders": sum(up.values()), "unled": n_sat - led, "contracted": led - sum(up.values()), "two_hop": sum(r["count"] for r in rows if r["hops"] == 2), "promoted": up}
+    return cut(renamed(leveled, changes)), changes, seen
+
+
+def contract_saturated(state: State) -> tuple[DataFrame, DataFrame, DataFrame | None, dict]:
+    """(arcs, verts, moves, counters)."""
+    leveled, changes, seen = contract_leveled(state, cut(state.seen))
+    if changes is None:
+        return state.arcs, state.verts, None, seen
+    return leveled.select("src", "dst"), cut(advanced(state.verts, leveled, None, changes)), changes.where("old <> new").select("old", "new"), seen
 
 
 def retire(state: State) -> State:
-    """Moves finished cliques out of the loop, so a component costs by its own diameter."""
-    groups = clique_components(state.arcs)
+    """Moves finished cliques out of the loop, so a component costs by its own diameter. The log says in which iteration."""
     mu = state.arcs.groupBy(F.col("src").alias("vid")).agg(F.least(F.min("dst"), F.col("src")).alias("mu"))
-    done = cut(mu.join(groups.where("is_clique").select("mu"), "mu", "left_semi").select("vid", "mu"))
+    done = cut(mu.join(clique_components(state.arcs).where("is_clique").select("mu"), "mu", "left_semi").select("vid", "mu", F.lit(state.iteration).alias("iteration")))
     if done.isEmpty():
         return state
     keep = done.select(F.col("vid").alias("src"))
-    arcs = cut(state.arcs.join(keep, "src", "left_anti"))
-    verts = cut(state.verts.join(done.select("vid"), "vid", "left_anti"))
-    return replace(state, arcs=arcs, verts=verts, done=[*state.done, done])
+    leveled = cut(state.seen.join(keep, "src", "left_anti").select(*ENDS))
+    return replace(state, arcs=leveled.select("src", "dst"), leveled=leveled, verts=state.verts.join(done.select("vid"), "vid", "left_anti"), done=[*state.done, done])
 
 
 def remaining_budget(state: State) -> DataFrame:
@@ -251,11 +313,15 @@ class ComponentsResult:
 def step(state: State) -> State:
     """One iteration: link, lift, contract."""
     state = replace(state, iteration=state.iteration + 1)
-    state = replace(state, arcs=cut(link_two_hops(state)))
-    arcs, verts, moves = lift_to_higher_level(state)
-    state = replace(state, arcs=arcs, verts=verts, log=[*state.log, moves])
-    arcs, verts, moves, seen = contract_saturated(state)
-    state = replace(state, arcs=arcs, verts=verts, log=[*state.log, moves] if moves is not None else state.log)
+    before = state.leveled if state.leveled is not None else cut(state.seen)
+    leveled = cut(link_leveled(state, before))
+    linked = leveled.count() // 2
+    leveled, lifted = lift_leveled(leveled)
+    leveled, changes, seen = contract_leveled(state, leveled)
+    log = [m for m in (lifted, changes.where("old <> new").select("old", "new") if seen["contracted"] else None) if m is not None]
+    verts = cut(advanced(state.verts, leveled, lifted, changes))
+    seen |= {"linked": linked, "lifted": lifted.count() if lifted is not None else 0, "edges": leveled.count() // 2}
+    state = replace(state, arcs=leveled.select("src", "dst"), leveled=leveled, verts=verts, log=[*state.log, *log])
     return replace(state, trace=[*state.trace, (measured(state) if state.cfg.trace else {"iteration": state.iteration}) | seen])
 
 
@@ -291,6 +357,21 @@ def unfold(vertices: DataFrame, state: State) -> DataFrame:
     return canonical(vertices, compose_moves(state.log), mu)
 
 
+def finishes(vertices: DataFrame, state: State) -> DataFrame:
+    """component, iteration: the iteration after which each component was a clique (0: from the start). Needs retire_cliques; isolated vertices are left out."""
+    when = state.done[0].select("vid", "iteration") if state.done else None
+    for d in state.done[1:]:
+        when = when.unionByName(d.select("vid", "iteration"))
+    labels = unfold(vertices, state)
+    moves = compose_moves(state.log)
+    reps = vertices.select(F.col("vid").alias("vertex"), F.col("vid").alias("rep"))
+    if moves is not None:
+        reps = reps.join(moves, F.col("rep") == F.col("old"), "left").select("vertex", F.coalesce("new", "rep").alias("rep"))
+    out = reps.join(labels, "vertex").join(when, F.col("rep") == F.col("vid"), "left")
+    # a component that contracted to one vertex has no arc left to be seen: it was done when its last move was made, the run's last iteration at most
+    return out.groupBy("component").agg(F.coalesce(F.max("iteration"), F.lit(state.iteration)).alias("iteration"), F.count("*").alias("size"))
+
+
 def budgeted_components(edges: DataFrame, vertices: DataFrame | None = None, cfg: LevelConfig = LevelConfig()) -> ComponentsResult:
     state = init_state(edges, vertices, cfg)
     everyone = state.verts.select("vid")

@@ -104,16 +104,81 @@ def circulant(spark, n, b):
     return spark.range(n).select(F.col("id").alias("u"), F.explode(F.sequence(F.lit(1), F.lit(b // 2))).alias("s")).select("u", ((F.col("u") + F.col("s")) % n).alias("v"))
 
 
-def embedding_neighbors(spark, d, k=1):
-    """Each vector's k nearest by cosine; a blocked comparison on one machine's worth of vectors a block."""
-    e = table(spark, d, "embeddings")
+def _similarities(e: DataFrame, block_rows: int, pick, schema: str) -> DataFrame:
+    """Blocks of vectors against blocks of vectors, each pair of blocks one task's matrix product; pick thins its result there."""
+    import numpy as np
+    import pyarrow as pa
+
     vec = next(f.name for f in e.schema if f.dataType.simpleString().startswith("array"))
-    ident = e.columns[0]
-    dot = F.aggregate(F.zip_with("x", "y", lambda a, b: a.cast("double") * b), F.lit(0.0), lambda s, v: s + v)
-    a, b = e.select(F.col(ident).alias("i"), F.col(vec).alias("x")), e.select(F.col(ident).alias("j"), F.col(vec).alias("y"))
-    sim = a.join(b, F.col("i") != F.col("j")).select("i", "j", F.round(dot, 6).alias("s"))
-    top = sim.withColumn("r", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("s"), "j"))).where(F.col("r") <= k)
-    return top.select(F.least("i", "j").cast("long").alias("u"), F.greatest("i", "j").cast("long").alias("v")).distinct()
+    n = max(1, -(-e.count() // block_rows))
+    rows = e.select(F.col(e.columns[0]).cast("long").alias("i"), F.col(vec).cast("array<double>").alias("x"), F.pmod(F.xxhash64(e.columns[0]), F.lit(n)).alias("b"))
+    others = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
+    left = rows.withColumn("c", others)
+    right = rows.select(F.col("i").alias("j"), F.col("x").alias("y"), F.col("b").alias("c2")).withColumn("b2", others)  # names of its own: a cogroup of one frame with itself mixes up its columns
+
+    def run(a: pa.Table, b: pa.Table) -> pa.Table:
+        if not a.num_rows or not b.num_rows:
+            return pa.table({"i": pa.array([], pa.int64()), "j": pa.array([], pa.int64()), "s": pa.array([], pa.float64())})
+        i, j = a["i"].to_numpy(), b["j"].to_numpy()
+        x, y = np.array(a["x"].to_pylist(), float), np.array(b["y"].to_pylist(), float)
+        s = np.round(x @ y.T, 6)
+        s[i[:, None] == j[None, :]] = -np.inf
+        p, q = pick(s, j)
+        return pa.table({"i": pa.array(i[p], pa.int64()), "j": pa.array(j[q], pa.int64()), "s": pa.array(s[p, q], pa.float64())})
+
+    return left.groupBy("b", "c").cogroup(right.groupBy("b2", "c2")).applyInArrow(run, schema)
+
+
+def _undirected(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v")).distinct()
+
+
+def embedding_neighbors(spark, d, k=1, block_rows=2000):
+    """Each vector's k nearest by cosine (unit vectors): exact, by blocks; a pair of blocks sends k candidates a vector on."""
+    import numpy as np
+
+    def pick(s, j):
+        order = np.lexsort((np.broadcast_to(j, s.shape), -s), axis=1)[:, :k]
+        p, q = np.repeat(np.arange(len(s)), order.shape[1]), order.ravel()
+        ok = np.isfinite(s[p, q])
+        return p[ok], q[ok]
+
+    near = _similarities(table(spark, d, "embeddings"), block_rows, pick, "i long, j long, s double")
+    top = near.withColumn("r", F.row_number().over(Window.partitionBy("i").orderBy(F.desc("s"), "j"))).where(F.col("r") <= k)
+    return _undirected(top)
+
+
+def similarity_edges(spark, d, tau=0.35, block_rows=2000):
+    """Pairs of vectors with a cosine of tau or more: exact, by blocks; only such pairs leave a task."""
+    return _undirected(_similarities(table(spark, d, "embeddings"), block_rows, lambda s, j: (s >= tau).nonzero(), "i long, j long, s double"))
+
+
+def json_key_edges(spark, d):
+    """Events and the key k of their props."""
+    k = F.get_json_object("props", "$.k").cast("long")
+    e = table(spark, d, "events").select(tag(F.col("event_id"), "event").alias("u"), (k * 8 + 7).alias("v"))
+    return e.where("v is not null")
+
+
+def global_path(spark, d):
+    """All events in one row, by time: the largest diameter there can be. Ids are positions."""
+    from tidegraph.operators.primitives import global_index
+
+    e = global_index(table(spark, d, "events").select("ts", "event_id"), ["ts", "event_id"], "i")
+    return e.where("i > 0").select((F.col("i") - 1).alias("u"), F.col("i").alias("v"))
+
+
+def path_family(spark, lengths):
+    """Disjoint paths of these lengths (in edges): vertices of the k-th are k * 2^32 and up."""
+    rows = spark.createDataFrame([(k << 32, n) for k, n in enumerate(lengths)], "base long, n long")
+    return rows.select("base", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)).alias("i")).select((F.col("base") + F.col("i")).alias("u"), (F.col("base") + F.col("i") + 1).alias("v"))
+
+
+def edges_asof(spark, d, until: str):
+    """Consecutive events of users as known at a time."""
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    e = table(spark, d, "events").where(F.col("ts") <= F.lit(until).cast("timestamp")).select("event_id", F.lead("event_id").over(w).alias("nxt")).where("nxt is not null")
+    return e.select(tag(F.col("event_id"), "event").alias("u"), tag(F.col("nxt"), "event").alias("v"))
 
 
 def cooccurrence(spark, d, seconds=60):

@@ -18,6 +18,8 @@ CATERPILLAR = USER_PATHS + " UNION ALL SELECT CAST(event_id AS BIGINT) * 8 + 6,
 KNN1 = """SELECT DISTINCT CAST(least(i, j) AS BIGINT) AS u, CAST(greatest(i, j) AS BIGINT) AS v FROM (
 SELECT a.vec_id AS i, b.vec_id AS j, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda p: p[1]::DOUBLE * p[2]::DOUBLE)), 6) DESC, b.vec_id) AS r
 FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) WHERE r = 1"""
+SIMILAR = """SELECT CAST(a.vec_id AS BIGINT) AS u, CAST(b.vec_id AS BIGINT) AS v FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id
+WHERE round(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda p: p[1]::DOUBLE * p[2]::DOUBLE)), 6) >= 0.35"""
 CLIQUES = "SELECT DISTINCT CAST(a.user_id AS BIGINT) AS u, CAST(b.user_id AS BIGINT) AS v FROM (SELECT DISTINCT user_id FROM events) a JOIN (SELECT DISTINCT user_id FROM events) b ON a.user_id % 10 = b.user_id % 10 AND a.user_id < b.user_id"
 COOCCUR = "SELECT DISTINCT CAST(least(a.user_id, b.user_id) AS BIGINT) AS u, CAST(greatest(a.user_id, b.user_id) AS BIGINT) AS v FROM events a JOIN events b ON b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 60 SECOND AND a.user_id <> b.user_id"
 
@@ -88,7 +90,9 @@ thin AS (SELECT tail, head FROM p4 WHERE CAST(('0x' || substr(md5('0:thin:' || C
 busy AS (SELECT v FROM (SELECT tail AS v FROM thin UNION ALL SELECT head FROM thin) GROUP BY v HAVING count(*) > 1),
 lone AS (SELECT tail, head FROM thin WHERE tail NOT IN (SELECT v FROM busy) AND head NOT IN (SELECT v FROM busy))
 """
-CYCLE_CUT = f"""SELECT u, v FROM (SELECT i AS u, (i + 1) % 1000 AS v FROM range(1000) t(i)) WHERE CAST(('0x' || substr(md5('0:cycle:' || CAST(least(u, v) * 4000037 + greatest(u, v) AS VARCHAR)), 1, 13)) AS BIGINT) / 4503599627370496.0::DOUBLE >= {min(1.0, 2 * math.log(1000) / 64)!r}::DOUBLE"""
+CYCLE_CUT = """WITH n AS (SELECT count(*) AS n FROM events), e AS (SELECT i AS u, (i + 1) % n AS v, n FROM n, range(0, (SELECT n FROM n)) t(i))
+SELECT u, v FROM e WHERE CAST(('0x' || substr(md5('0:cycle:' || least(u, v) || '-' || greatest(u, v)), 1, 13)) AS BIGINT) / 4503599627370496.0::DOUBLE >= least(1.0::DOUBLE, 2.0::DOUBLE * ln(n) / 64)"""
+CYCLE_CONTRACT = CYCLE_CUT.replace("SELECT u, v FROM e WHERE", "SELECT count(*) AS edges FROM e WHERE NOT")
 DIAMETER = f"""WITH RECURSIVE e AS ({order_part(2)}), arcs AS MATERIALIZED (SELECT u AS src, v AS dst FROM e UNION SELECT v, u FROM e),
 dist(s, t, d) USING KEY (s, t) AS (SELECT DISTINCT src, src, 0 FROM arcs UNION (SELECT x.s, a.dst, min(x.d + 1) FROM dist x JOIN arcs a ON a.src = x.t LEFT JOIN recurring.dist r ON r.s = x.s AND r.t = a.dst WHERE r.d IS NULL OR x.d + 1 < r.d GROUP BY x.s, a.dst))
 SELECT component, CAST(max(ecc) AS INTEGER) AS diameter FROM (SELECT s, max(d) AS ecc, min(t) AS component FROM dist GROUP BY s) GROUP BY component"""
