@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tidegraph.functions.session import cut, stored
-from tidegraph.llm.keyed import attach
+from tidegraph.functions.keyed import attach
 
 WORD = r"[^\x20\x09-\x0D]+"
 BINS = 16384

@@ -6,7 +6,8 @@ the h nearest rows give the next centre and scatter, until the steps end. Rows w
 Mahalanobis distance to the final estimate, scaled for consistency at the normal law, passes a chi-square quantile
 are rejected. All steps are aggregates over all rows: the h-th distance is read off a
 histogram by group (64 bins to each doubling of the distance; rows of the last bin all count as
-near), so no group is ever gathered and a hot source costs its share only.
+near), so no group is ever gathered. The parameters of groups (sources x languages) are broadcast after a count, or joined over
+salts beyond it; rows stay where they were read, so a hot source costs its share only.
 
 Cases: null text has no words; null lang or source is a value like any other. Groups under `min_group` fitted rows
 are pooled by language, then over all; a pool still smaller rejects nothing. Rows that fail the base
@@ -23,8 +24,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from tidegraph.functions.session import cut, stored
+from tidegraph.functions.keyed import attach
 from tidegraph.llm.textpack import covered, edges_of, mix, per_doc, pieces, prefix_hash, span_hash, windows, words_of
 
 SYMBOLS = np.zeros(256, np.int64)
@@ -64,12 +67,12 @@ def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([*cols, *[pa.array(x, pa.int64()) for x in found]], names=[*names, *[x.split()[0] for x in STATS.split(", ")]])
 
 
-def text_statistics(docs: DataFrame, text_col: str = "text", keep: dict[str, str] | None = None) -> DataFrame:
-    """keep: column -> its name in the result, beside the statistics."""
+def text_statistics(docs: DataFrame, text_col: str = "text", keep: dict[str, str] | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
+    """keep: column -> its name in the result, beside the statistics. carry: further columns, named _k0, _k1 ..."""
     keep = keep or {}
-    picked = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in keep.items()], F.col(text_col).alias("_text"))
-    fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in picked.schema if f.name != "_text"]
-    return picked.mapInArrow(measure, ", ".join([*fields, STATS]))
+    picked = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in keep.items()], *[F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(carry)], F.col(text_col).alias("_text"))
+    schema = T.StructType([*[f for f in picked.schema if f.name != "_text"], *T._parse_datatype_string(STATS)])
+    return picked.mapInArrow(measure, schema)
 
 
 def chi2_cdf(x: float, k: int) -> float:
@@ -125,9 +128,9 @@ def _estimates(floor: float, scale: float):
     return run
 
 
-def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source", h: float = 0.75, steps: int = 5, floor: float = 0.06, reject: float = 1e-7, min_group: int = 40, min_words: int = 10, repeat_percent: int = 20) -> DataFrame:
-    """One row a document: id, the statistics, base_failed, distance2 (null: base rules failed or no fit), kept."""
-    stats = text_statistics(docs, text_col, {id_col: "_id", lang_col: "_lang", source_col: "_source"})
+def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source", h: float = 0.75, steps: int = 5, floor: float = 0.06, reject: float = 1e-7, min_group: int = 40, min_words: int = 10, repeat_percent: int = 20, keep: tuple[str, ...] = ()) -> DataFrame:
+    """One row a document: id, keep columns, the statistics, base_failed, distance2 (null: base rules failed or no fit), kept."""
+    stats = text_statistics(docs, text_col, {id_col: "_id", lang_col: "_lang", source_col: "_source"}, keep)
     stats = stats.withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
     stats = stored(stats.select("*", *[x.alias(n) for n, x in zip(FEATURES, features(), strict=True)]), "quality-stats")
     fit = ~F.col("base_failed")
@@ -138,7 +141,7 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
     sizes = cut(sizes.select(F.col("_lang").alias("l"), F.col("_source").alias("s"), g.alias("g"), "n_ls"))
     enough = sizes.groupBy("g").agg(F.sum("n_ls").alias("n_g")).where(F.col("n_g") >= min_group)
     sizes = cut(sizes.join(enough, "g"))
-    rows = stats.where(fit).join(sizes, F.col("_lang").eqNullSafe(F.col("l")) & F.col("_source").eqNullSafe(F.col("s"))).select("g", "n_g", *FEATURES)
+    rows = attach(stats.where(fit), sizes, {"_lang": "l", "_source": "s"}).select("g", "n_g", *FEATURES)
 
     quarters = rows.groupBy("g").agg(*[F.percentile_approx(x, F.array(F.lit(0.25), F.lit(0.5), F.lit(0.75)), F.lit(2000)).alias(f"q{i}") for i, x in enumerate(FEATURES)])
     spread = lambda i: F.pow((F.col(f"q{i}")[2] - F.col(f"q{i}")[0]) / 1.349, 2) + floor**2
@@ -148,13 +151,13 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
     cutoff2 = chi2_quantile(h, P)
     consistent = h / chi2_cdf(cutoff2, P + 2)
     for step in range(steps):
-        near = rows.join(params, "g").withColumn("d2", _distance()).withColumn("bin", level)
+        near = attach(rows, params.withColumnRenamed("g", "_g"), {"g": "_g"}).withColumn("d2", _distance()).withColumn("bin", level)
         bins = near.groupBy("g", "n_g", "bin").agg(F.count("*").alias("c"))
         upto = bins.withColumn("cum", F.sum("c").over(Window.partitionBy("g").orderBy("bin"))).where(F.col("cum") >= F.ceil(h * F.col("n_g"))).groupBy("g").agg(F.min("bin").alias("last"))
-        sums = near.join(upto, "g").where("bin <= last").groupBy("g").agg(F.count("*").alias("n"), F.array(*[F.sum(x) for x in FEATURES]).alias("s1"), F.array(*[F.sum(F.col(FEATURES[i]) * F.col(FEATURES[j])) for i, j in cross]).alias("s2"))
+        sums = attach(near, cut(upto.withColumnRenamed("g", "_g")), {"g": "_g"}).where("bin <= last").groupBy("g").agg(F.count("*").alias("n"), F.array(*[F.sum(x) for x in FEATURES]).alias("s1"), F.array(*[F.sum(F.col(FEATURES[i]) * F.col(FEATURES[j])) for i, j in cross]).alias("s2"))
         params = cut(sums.mapInPandas(_estimates(floor, consistent if step == steps - 1 else 1.0), "g string, m array<double>, inv array<double>"))
-    known = sizes.join(params, "g").select("l", "s", "m", "inv")
-    out = stats.join(known, F.col("_lang").eqNullSafe(F.col("l")) & F.col("_source").eqNullSafe(F.col("s")), "left")
+    known = cut(sizes.join(params, "g").select("l", "s", "m", "inv"))
+    out = attach(stats, known, {"_lang": "l", "_source": "s"}, "left")
     d2 = F.when(fit, _distance())
     ok = fit & (F.coalesce(d2, F.lit(0.0)) <= F.lit(chi2_quantile(1 - reject, P)))
-    return out.select(F.col("_id").alias(id_col), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", ok.alias("kept"), d2.alias("distance2"))
+    return out.select(F.col("_id").alias(id_col), *[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)], "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", ok.alias("kept"), d2.alias("distance2"))
