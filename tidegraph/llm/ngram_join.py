@@ -33,7 +33,7 @@ from pyspark.sql import types as T
 
 from tidegraph.functions.session import cut, stored
 from tidegraph.llm.blocks import exchange, short_keys, sums, totals_of, with_blocks
-from tidegraph.llm.keyed import spread
+from tidegraph.functions.keyed import spread
 from tidegraph.llm.textpack import U, by_doc, mix, per_doc, shingle_sets, words_of
 from tidegraph.operators.baselines import hook_contract_components
 from tidegraph.operators.primitives import all_of
@@ -167,7 +167,8 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     named = named.join(labels, F.col("rep") == F.col("vertex"), "left").select("rid", "_id", "n", F.coalesce("component", "rep", "rid").alias("comp"))
     named = cut(named)
     least = named.groupBy("comp").agg(F.min("_id").alias("component_id"), F.min(F.when(F.col("_id").isNotNull(), F.struct("_id", "rid")))["rid"].alias("r1"), F.min("rid").alias("r2"))
-    out = named.join(least, "comp").withColumn("first", F.col("rid") == F.coalesce("r1", "r2"))
+    named, least = spread(named, least, ["comp"])
+    out = named.join(least, ["comp", "_salt"]).withColumn("first", F.col("rid") == F.coalesce("r1", "r2"))
     if keep:
         out = sets.select("rid", *[f"_k{i}" for i in range(len(keep))]).join(out, "rid")
     return out.select(F.col("_id").alias(id_col), *[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)], F.col("n").alias("n_shingles"), "component_id", "first")
