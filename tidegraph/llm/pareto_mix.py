@@ -71,7 +71,7 @@ def expected_copies(classes: DataFrame, targets: DataFrame, most: int) -> DataFr
     c = attach(classes, targets, {"_source": "_s"})
     by = Window.partitionBy("_source").orderBy(F.desc("w"))
     before, rest = by.rowsBetween(Window.unboundedPreceding, -1), by.rowsBetween(0, Window.unboundedFollowing)
-    rate = (F.col("target") - (F.coalesce(F.sum("words").over(before), F.lit(0)) * most).cast("double")) / F.sum(F.col("words") * F.col("w")).over(rest).cast("double")
+    rate = (F.col("target") - (F.coalesce(F.sum("words").over(before), F.lit(0)) * most).cast("double")) / F.nullif(F.sum(F.col("words") * F.col("w")).over(rest), F.lit(0)).cast("double")  # no words below: no rate
     c = c.withColumn("rate", rate)
     every = Window.partitionBy("_source")
     level = F.max(F.when(F.col("rate") * F.col("w") <= most, F.struct("w", "rate"))).over(every)["rate"]

@@ -87,7 +87,7 @@ lev AS (SELECT max(rate) AS lev FROM step WHERE rate <= cap / w),
 tgt AS (SELECT source, source_size, least(CAST(cap AS DOUBLE), coalesce((SELECT lev FROM lev), 'infinity'::DOUBLE) * w) AS target FROM step),
 cls AS (SELECT source, length(bin(size)) AS w, CAST(sum(size) AS BIGINT) AS words FROM d GROUP BY ALL),
 lift AS (SELECT c.source, w, words, source_size, target, (target - CAST(coalesce(sum(words) OVER (PARTITION BY c.source ORDER BY w DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) * 2 AS DOUBLE))
-  / CAST(sum(words * w) OVER (PARTITION BY c.source ORDER BY w DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS DOUBLE) AS rate FROM cls c JOIN tgt t ON c.source IS NOT DISTINCT FROM t.source),
+  / CAST(nullif(sum(words * w) OVER (PARTITION BY c.source ORDER BY w DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING), 0) AS DOUBLE) AS rate FROM cls c JOIN tgt t ON c.source IS NOT DISTINCT FROM t.source),
 fit AS (SELECT *, (SELECT arg_max(l.rate, l.w) FROM lift l WHERE l.source IS NOT DISTINCT FROM lift.source AND l.rate * l.w <= 2) AS lev FROM lift),
 cop AS (SELECT *, CASE WHEN source_size = 0 THEN 0.0::DOUBLE WHEN target >= source_size * 2 THEN 2.0::DOUBLE ELSE least(2.0::DOUBLE, coalesce(lev, 'infinity'::DOUBLE) * w) END AS pi FROM fit),
 lef AS (SELECT *, target - CAST(sum(floor(pi) * words) OVER (PARTITION BY source) AS DOUBLE) AS rest FROM cop),
