@@ -1,8 +1,8 @@
 """Language identification: multinomial naive Bayes over hashed character n-grams.
 
 n-grams of code points (A-Z folded) hash into 2^bits buckets. Training sums bucket counts by language in
-each task, one row a task and language, and adds those rows up; it covers every labelled row the
-caller passes. The smoothed log-probability matrix (languages x buckets, at most
+each task and adds them up by (language, bucket), with map-side halves, so no task sees more of a language than some of its buckets; it
+covers every labelled row the caller passes. The smoothed log-probability matrix (languages x buckets, at most
 `most_languages` x 2^bits x 8 bytes) is broadcast. A document's score for a language is the log prior plus the sum of
 the matrix over its n-grams, gathered batch-wise in numpy; the posterior of the best one is the score.
 
@@ -69,14 +69,18 @@ def train(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", order
                 have = total.setdefault(lang, [0, np.zeros(1 << bits, np.int64)])
                 have[0] += int(own.sum())
                 have[1] += n
-        yield pa.RecordBatch.from_arrays([pa.array([*total], pa.string()), pa.array([v[0] for v in total.values()], pa.int64()), pa.array([v[1].tobytes() for v in total.values()], pa.binary())], names=["lang", "docs", "counts"])
-
-    def added(table: pa.Table) -> pa.Table:
-        total = sum(np.frombuffer(x.as_py(), np.int64) for x in table["counts"])
-        return pa.table({"lang": table["lang"][:1], "docs": pa.array([sum(table["docs"].to_pylist())], pa.int64()), "counts": pa.array([total.tobytes()], pa.binary())})
-
-    schema = "lang string, docs long, counts binary"
-    found = rows.mapInArrow(counted, schema).groupBy("lang").applyInArrow(added, schema).limit(most_languages + 1).collect()
+        for lang, (n, counts) in total.items():  # bucket -1 counts documents
+            own = np.flatnonzero(counts)
+            yield pa.RecordBatch.from_arrays([pa.array([lang] * (len(own) + 1), pa.string()), pa.array(np.append(-1, own), pa.int32()), pa.array(np.append(n, counts[own]), pa.int64())], names=["lang", "bucket", "n"])
+
+    def packed(table: pa.Table) -> pa.Table:  # at most 2^bits + 1 rows
+        at, n = table["bucket"].to_numpy(), table["n"].to_numpy()
+        counts = np.zeros(1 << bits, np.int64)
+        counts[at[at >= 0]] = n[at >= 0]
+        return pa.table({"lang": table["lang"][:1], "docs": pa.array(n[at < 0], pa.int64()), "counts": pa.array([counts.tobytes()], pa.binary())})
+
+    added = rows.mapInArrow(counted, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
+    found = added.groupBy("lang").applyInArrow(packed, "lang string, docs long, counts binary").limit(most_languages + 1).collect()
     if len(found) > most_languages:
         raise ValueError(f"more than {most_languages} languages in the labels")
     found = sorted(found, key=lambda r: r["lang"].encode())
