@@ -10,7 +10,7 @@ To pair each text with its successor by descending id, rows are dealt into id ra
 within each, and every range gets one more row: the first text of the range that follows
 (after the last range: of the first). One text shuffle, bounded memory, no global window over rows.
 
-Cases: null text is empty; an empty text has an empty fingerprint, two of them are alike (1), one of
+Cases: ids are integers, or cast to them (others count as null); null text is empty; an empty text has an empty fingerprint, two of them are alike (1), one of
 them is unlike any other text (0). Rows with the same id follow each other by text; a null id comes last. A
 one-row table is its own successor. Empty tables give an empty result. Extra columns are ignored.
 """
@@ -25,10 +25,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from tidegraph.functions.session import cut
 from tidegraph.llm.blocks import with_blocks
 from tidegraph.llm.textpack import prefix_hash, span_hash
+from tidegraph.operators.primitives import global_index
 
 K = 64
+MOST_BLOCKS = 500_000  # id ranges whose tops are broadcast
 
 
 def phrase_ends(data: bytes, trie: dict[int, int], node: int, ends: list[int], at: int) -> int:
@@ -99,11 +102,16 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """One row a document: id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next."""
     lowest = -(1 << 63)
     rows = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(id_col).cast("long"), F.lit(lowest)).alias("_key"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
-    rows, _ = with_blocks(rows, "_key", "_text", block_bytes)
-    tops = rows.groupBy("_block").agg(F.max("_key").alias("top"))
-    up = Window.orderBy("_block")  # one row a range
-    tops = tops.select(F.col("_block").alias("b"), "top", F.coalesce(F.lead("_block").over(up), F.first("_block").over(up)).alias("to"))
-    heads = rows.join(F.broadcast(tops), (F.col("_block") == F.col("b")) & (F.col("_key") == F.col("top"))).groupBy("to").agg(F.min("_text").alias("_text"))
+    rows, blocks = with_blocks(rows, "_key", "_text", block_bytes)
+    tops = rows.groupBy(F.col("_block").alias("b")).agg(F.max("_key").alias("top"))
+    if blocks <= MOST_BLOCKS:  # a row a range, 16 bytes each: few enough for one window and a broadcast
+        up = Window.orderBy("b")
+        tops = F.broadcast(tops.select("b", "top", F.coalesce(F.lead("b").over(up), F.first("b").over(up)).alias("to")))
+    else:
+        at = cut(global_index(tops, "b", "i"))
+        following = at.select((F.col("i") - 1).alias("i"), F.col("b").alias("to"))
+        tops = at.join(following, "i", "left").crossJoin(F.broadcast(at.agg(F.min("b").alias("least")))).select("b", "top", F.coalesce("to", "least").alias("to"))
+    heads = rows.join(tops, (F.col("_block") == F.col("b")) & (F.col("_key") == F.col("top"))).groupBy("to").agg(F.min("_text").alias("_text"))
     id_type = rows.schema["_id"].dataType
     stream = rows.select("_block", F.lit(1).alias("_own"), "_key", "_id", "_text").unionByName(heads.select(F.col("to").alias("_block"), F.lit(0).alias("_own"), F.lit(lowest).alias("_key"), F.lit(None).cast(id_type).alias("_id"), "_text"))
     stream = stream.repartition("_block").sortWithinPartitions("_block", F.desc("_own"), F.desc("_key"), "_text")
