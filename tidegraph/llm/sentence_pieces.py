@@ -10,7 +10,8 @@ Which segmentation is best depends on the model. For a unigram model it is the p
 at hand is byte-pair merges, whose result is the only path in which each two neighbours would
 not have been merged across their border before either was complete; so an edge is
 accepted if its token can follow the token that the path up to its start ends with. Where several pieces
-share a merge score (runs of blanks), that test has no order to go by, and such a chunk is merged directly.
+share a merge score (runs of blanks), that test has no order to go by, and such a chunk is merged directly, by a heap of its
+neighbours (a run of n blanks costs n log n).
 
 Cases: null and empty texts have no tokens. Characters without a piece become their bytes' pieces. Repeated texts cost
 a look-up. Very long words are chunks like others; memory follows the slice (about 2 MB of text) and the longest text.
@@ -21,6 +22,7 @@ from __future__ import annotations
 
 import re
 from functools import lru_cache
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -95,14 +97,31 @@ class PieceModel:
 
     def merge(self, text: str, last_merge: bool = False):
         """Merges neighbours, best score first and leftmost of equals. With last_merge: the two pieces of the merge that makes the whole text, or None if it is not made."""
-        part, final = list(text), None
-        while len(part) > 1:
-            best = min(((self.time[i], at) for at in range(len(part) - 1) if (i := self.ids.get(part[at] + part[at + 1])) is not None), default=None)
-            if best is None:
-                break
-            at = best[1]
-            final = part[at], part[at + 1]
-            part[at : at + 2] = [part[at] + part[at + 1]]
+        part, final = [*text], None
+        n = len(part)
+        after, before = [*range(1, n + 1)], [*range(-1, n - 1)]
+        heap: list[tuple[int, int, str]] = []
+        for at in range(n - 1):
+            i = self.ids.get(part[at] + part[at + 1])
+            if i is not None:
+                heap.append((self.time[i], at, part[at] + part[at + 1]))
+        heapify(heap)
+        while heap:
+            _, at, made = heappop(heap)
+            right = after[at] if part[at] is not None else n
+            if right >= n or part[at] + part[right] != made:  # one of the two has been merged otherwise
+                continue
+            final = part[at], part[right]
+            part[at], part[right] = made, None
+            after[at] = after[right]
+            if after[at] < n:
+                before[after[at]] = at
+            for left, own in ((before[at], at), (at, after[at])):
+                if left >= 0 and own < n:
+                    i = self.ids.get(part[left] + part[own])
+                    if i is not None:
+                        heappush(heap, (self.time[i], left, part[left] + part[own]))
+        part = [x for x in part if x is not None]
         if last_merge:
             return tuple(self.ids[x] for x in final) if len(part) == 1 and all(x in self.ids for x in final) else None
         return [self.ids.get(x, UNKNOWN) for x in part], part
