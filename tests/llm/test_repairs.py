@@ -9,7 +9,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from tests.llm.test_operators import MODEL, words
-from tidegraph.llm import blocks, keyed, pareto_mix, sentence_pieces, substring_dedup, url_rules, warc
+from tidegraph.functions import keyed
+from tidegraph.llm import blocks, pareto_mix, sentence_pieces, substring_dedup, url_rules, warc
 
 
 def test_packed_keys_round_trip():
