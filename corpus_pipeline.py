@@ -1,54 +1,68 @@
 """From raw documents to token ids: quality rules, near-duplicate groups, repeated passages, source mix, encoding.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that the one before kept; all but the last return
-the columns of documents. n_chars follows the text.
+the columns of documents, whatever they are named. n_chars follows the text.
+
+A row goes through its operator whole, as one struct beside the columns that the operator reads, so a verdict is that
+row's own: rows with a null id, or one that other rows have too, are judged each by itself. Null texts have no words and fail the
+quality rules. Of equal rows, near_duplicates keeps one. Empty tables stay empty.
 """
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidegraph.functions.session import shared_dir
+from tidegraph.functions.session import scratch_path
 from tidegraph.llm import ngram_join, pareto_mix, robust_quality, sentence_pieces, substring_dedup
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
+def with_row(docs: DataFrame, *needed: str) -> tuple[DataFrame, str]:
+    """The needed columns and the whole row as a struct, whose name no column has."""
+    name = "row"
+    while name in docs.columns:
+        name += "_"
+    return docs.select(*needed, F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(name)), name
+
+
+def unpacked(rows: DataFrame, name: str, docs: DataFrame, **changed) -> DataFrame:
+    return rows.select(*[changed[c].alias(c) if c in changed else F.col(f"{name}.`{c}`").alias(c) for c in docs.columns])
+
+
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules or the outlier test reject go."""
-    kept = robust_quality.judge(docs).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
+    rows, name = with_row(docs, "doc_id", "text", "lang", "source")
+    return unpacked(robust_quality.judge(rows, keep=(name,)).where("kept"), name, docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group stays, that with the least id. Five-word shingles, similarity of 0.8."""
-    groups = ngram_join.similar_groups(docs, k=5, percent=80)
-    kept = groups.where("first").select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi").dropDuplicates(["doc_id", "text"])
+    rows, name = with_row(docs, "doc_id", "text")
+    return unpacked(ngram_join.similar_groups(rows, k=5, percent=80, keep=(name,)).where("first"), name, docs)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages of 20 words or more that occur earlier are cut out; a text without any stays as it was, one of nothing else goes."""
-    held = docs.withColumn("_held", F.struct(*[F.col(f"`{c}`") for c in docs.columns]))
-    marked = substring_dedup.mark_repeats(held, keep=("_held",)).where("n_removed = 0 or n_removed < n_words")
-    text = F.when(F.col("n_removed") > 0, F.col("kept_text")).otherwise(F.col("_held.text"))
-    columns = {"text": text, "n_chars": F.when(F.col("n_removed") > 0, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("_held.n_chars"))} if "n_chars" in docs.columns else {"text": text}
-    return marked.select(*[columns.get(c, F.col(f"_held.`{c}`")).alias(c) for c in docs.columns])
+    rows, name = with_row(docs, "doc_id", "text")
+    marked = substring_dedup.mark_repeats(rows, keep=(name,)).where("n_removed = 0 or n_removed < n_words")
+    changed = {"text": F.when(F.col("n_removed") > 0, F.col("kept_text")).otherwise(F.col(f"{name}.text"))}
+    if "n_chars" in docs.columns:
+        changed["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col(f"{name}.n_chars"))
+    return unpacked(marked, name, docs, **changed)
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it."""
-    taken = pareto_mix.mix(docs).where("copies > 0").groupBy("doc_id").agg(F.max("copies").alias("_copies")).withColumnRenamed("doc_id", "_id")
-    rows = docs.join(taken, F.col("doc_id").eqNullSafe(F.col("_id")))
-    return rows.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*docs.columns)
+    rows, name = with_row(docs, "doc_id", "text", "source")
+    taken = pareto_mix.mix(rows, keep=(name,)).where("copies > 0")
+    return unpacked(taken.select(name, F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))), name, docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, lang, source, n_tokens, ids."""
-    return sentence_pieces.encode(docs, MODEL, keep=("doc_id", "lang", "source"), check=False)
+    """doc_id, lang, source, n_tokens, ids, and round_trip: whether the ids decode to the text (false only where it holds U+2581)."""
+    return sentence_pieces.encode(docs, MODEL, keep=("doc_id", "lang", "source"))
 
 
 STAGES = [("quality rules", quality), ("n-gram jaccard join", near_duplicates), ("substring dedup", repeated_passages), ("source mix", source_mix), ("piece encoding", encode)]
@@ -56,7 +70,7 @@ STAGES = [("quality rules", quality), ("n-gram jaccard join", near_duplicates),
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    base = f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
+    base = scratch_path(spark, "pipeline")
     for k, (_, stage) in enumerate(STAGES):
         out = stage(spark, docs, sf_dir)
         if k == len(STAGES) - 1:
