@@ -34,7 +34,7 @@ from pyspark.sql import types as T
 from tidegraph.functions.session import cut, stored
 from tidegraph.llm.blocks import exchange, short_keys, sums, totals_of, with_blocks
 from tidegraph.functions.keyed import spread
-from tidegraph.llm.textpack import U, by_doc, mix, per_doc, shingle_sets, words_of
+from tidegraph.llm.textpack import U, by_doc, carried, mix, per_doc, shingle_sets, words_of
 from tidegraph.operators.baselines import hook_contract_components
 from tidegraph.operators.primitives import all_of
 
@@ -43,14 +43,15 @@ WORDS = 8  # 64-bit words of a set's parity bitmap
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fold: bool, block_bytes: int | None, keep: tuple[str, ...] = ()) -> DataFrame:
-    """One row a document: rid (a row number), id, keep columns (_k0 ...), n, sig1, sig2, gid, tokens and places (indexed prefix), shingles (where tokens are)."""
-    picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), *[F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(keep)])
+    """One row a document: rid (a row number), id, keep columns (named by `carried`), n, sig1, sig2, gid, tokens and places (indexed prefix), shingles (where tokens are)."""
+    picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), *[F.col(f"`{c}`").alias(x) for c, x in zip(keep, carried(keep, text_col), strict=True) if x != "_text"])
     blocked, blocks = with_blocks(picked, "_id", "_text", block_bytes)
     parts = 1 << (max(1, blocks // 2) - 1).bit_length()
     mask = short_keys(parts)  # keys taken for one another make frequencies larger, never smaller: only the index grows
     schema = T._parse_datatype_string("rid long, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>, bits array<long>")
-    schema = T.StructType([schema[0], *[f for f in picked.schema if f.name != "_text"], *schema[1:]])
-    carried = [f.name for f in picked.schema if f.name.startswith("_k")]
+    fields = [f for f in picked.schema if f.name != "_text" or text_col in keep]
+    schema = T.StructType([schema[0], *fields, *schema[1:]])
+    passed = [f.name for f in fields]  # the id first
 
     def ask(table: pa.Table) -> dict:
         _, h = shingle_sets(words_of(table["_text"], fold), k)
@@ -81,11 +82,11 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
         lists = lambda at, values: pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), values)
         signed = lambda x: pa.array(x.astype(np.uint64).view(np.int64))
         block = table["_block"][0].as_py() if rows else 0
-        cols = [pa.array((block << 28) + np.arange(rows)), table["_id"], *[table[c] for c in carried], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
+        cols = [pa.array((block << 28) + np.arange(rows)), *[table[c] for c in passed], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
         cols += [lists(found, signed(rare[index])), lists(found, pa.array((place - np.repeat(n - common, n))[index].astype(np.int32))), lists(kept, signed(h[full]))]
         has = np.diff(found) > 0
         cols.append(lists(np.append(0, np.cumsum(has)) * WORDS, signed(bits[np.repeat(has, WORDS)])))
-        return pa.Table.from_arrays(cols, names=["rid", "_id", *carried, "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
+        return pa.Table.from_arrays(cols, names=["rid", *passed, "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
 
     return exchange(blocked, ask, sums, finish, schema, parts, True)
 
@@ -170,5 +171,5 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     named, least = spread(named, least, ["comp"])
     out = named.join(least, ["comp", "_salt"]).withColumn("first", F.col("rid") == F.coalesce("r1", "r2"))
     if keep:
-        out = sets.select("rid", *[f"_k{i}" for i in range(len(keep))]).join(out, "rid")
-    return out.select(F.col("_id").alias(id_col), *[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)], F.col("n").alias("n_shingles"), "component_id", "first")
+        out = sets.select("rid", *carried(keep, text_col)).join(out, "rid")
+    return out.select(F.col("_id").alias(id_col), *[F.col(x).alias(c) for x, c in zip(carried(keep, text_col), keep, strict=True)], F.col("n").alias("n_shingles"), "component_id", "first")

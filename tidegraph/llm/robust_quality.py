@@ -28,7 +28,7 @@ from pyspark.sql import types as T
 
 from tidegraph.functions.session import cut, stored
 from tidegraph.functions.keyed import attach
-from tidegraph.llm.textpack import covered, edges_of, mix, per_doc, pieces, prefix_hash, span_hash, windows, words_of
+from tidegraph.llm.textpack import carried, covered, edges_of, mix, per_doc, pieces, prefix_hash, span_hash, windows, words_of
 
 SYMBOLS = np.zeros(256, np.int64)
 SYMBOLS[list(b"#*$%&|<>")] = 1
@@ -41,7 +41,7 @@ def _within(keys: np.ndarray, doc: np.ndarray) -> np.ndarray:
     return mix(keys ^ mix(doc.astype(np.uint64)))
 
 
-def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def measure(batches: Iterator[pa.RecordBatch], with_text: bool = False) -> Iterator[pa.RecordBatch]:
     for part in pieces(batches, "_text"):
         w = words_of(part.column("_text"))
         new_line = w.data == 10
@@ -62,17 +62,18 @@ def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         again = covered(len(w.hashes), start[n[inverse] > 1], 5) if len(h) else np.zeros(len(w.hashes), bool)
         count = lambda d: np.bincount(d, minlength=part.num_rows).astype(np.int64)
         found = [words, per_doc((in_word & ((w.data & 0xC0) != 0x80)).astype(np.int64), w.offs), per_doc(SYMBOLS[w.data], w.offs), count(doc[has]), count(doc[has][dup]), per_doc(again, w.woff)]
-        cols = [part.column(i) for i, c in enumerate(part.schema.names) if c != "_text"]
-        names = [c for c in part.schema.names if c != "_text"]
+        names = [c for c in part.schema.names if with_text or c != "_text"]
+        cols = [part.column(c) for c in names]
         yield pa.RecordBatch.from_arrays([*cols, *[pa.array(x, pa.int64()) for x in found]], names=[*names, *[x.split()[0] for x in STATS.split(", ")]])
 
 
 def text_statistics(docs: DataFrame, text_col: str = "text", keep: dict[str, str] | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
-    """keep: column -> its name in the result, beside the statistics. carry: further columns, named _k0, _k1 ..."""
+    """keep: column -> its name in the result, beside the statistics. carry: further columns, named _k0, _k1 ...; the text stays _text."""
     keep = keep or {}
-    picked = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in keep.items()], *[F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(carry)], F.col(text_col).alias("_text"))
-    schema = T.StructType([*[f for f in picked.schema if f.name != "_text"], *T._parse_datatype_string(STATS)])
-    return picked.mapInArrow(measure, schema)
+    picked = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in keep.items()], *[F.col(f"`{c}`").alias(n) for c, n in zip(carry, carried(carry, text_col), strict=True) if n != "_text"], F.col(text_col).alias("_text"))
+    with_text = text_col in carry
+    schema = T.StructType([*[f for f in picked.schema if with_text or f.name != "_text"], *T._parse_datatype_string(STATS)])
+    return picked.mapInArrow(lambda batches: measure(batches, with_text), schema)
 
 
 def chi2_cdf(x: float, k: int) -> float:
@@ -160,4 +161,4 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
     out = attach(stats, known, {"_lang": "l", "_source": "s"}, "left")
     d2 = F.when(fit, _distance())
     ok = fit & (F.coalesce(d2, F.lit(0.0)) <= F.lit(chi2_quantile(1 - reject, P)))
-    return out.select(F.col("_id").alias(id_col), *[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)], "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", ok.alias("kept"), d2.alias("distance2"))
+    return out.select(F.col("_id").alias(id_col), *[F.col(n).alias(c) for n, c in zip(carried(keep, text_col), keep, strict=True)], "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", ok.alias("kept"), d2.alias("distance2"))

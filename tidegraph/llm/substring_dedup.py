@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tidegraph.llm.blocks import ADDRESS, earlier, earlier_of, exchange, with_blocks
-from tidegraph.llm.textpack import windows, words_of
+from tidegraph.llm.textpack import carried, windows, words_of
 
 FACTOR = "array<struct<start:int,words:int,block:long,word:long>>"
 
@@ -96,10 +96,10 @@ def mark_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     clash = {"n_words", "n_removed", "kept_text", "factors"} & {id_col, *keep}
     if clash:
         raise ValueError(f"keep columns clash with results: {sorted(clash)}")
-    picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), *[F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(keep)])
+    picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), *[F.col(f"`{c}`").alias(x) for c, x in zip(keep, carried(keep, text_col), strict=True) if x != "_text"])
     blocked, n = with_blocks(picked, "_id", "_text", block_bytes)
     parts = max(1, n // 2)
-    schema = T.StructType([f for f in picked.schema if f.name != "_text"] + [T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType())])
+    schema = T.StructType([f for f in picked.schema if f.name != "_text" or text_col in keep] + [T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType())])
     if factors:
         schema = schema.add(T.StructField("factors", T._parse_datatype_string(FACTOR)))
 
@@ -161,5 +161,5 @@ def mark_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     out_schema = to_arrow_schema(schema)
     out = exchange(blocked, ask, earlier, finish, schema, parts)
-    named = [F.col("_id").alias(id_col), *[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)]]
+    named = [F.col("_id").alias(id_col), *[F.col(x).alias(c) for x, c in zip(carried(keep, text_col), keep, strict=True)]]
     return out.select(*named, "n_words", "n_removed", "kept_text", *(["factors"] if factors else []))

@@ -105,6 +105,11 @@ def edges_of(inside: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return starts, np.flatnonzero(inside & ~after) + 1
 
 
+def carried(keep: tuple[str, ...], text_col: str) -> list[str]:
+    """Names of the keep columns on their way through an operator that has the text as _text: a kept text is that column, not a second copy."""
+    return ["_text" if c == text_col else f"_k{i}" for i, c in enumerate(keep)]
+
+
 def words_of(column, fold: bool = False) -> Words:
     data, offs = text_bytes(column)
     starts, ends = edges_of(~SPACE[data], offs)
