@@ -3,8 +3,8 @@
 Each stage takes (spark, docs, sf_dir) and works on all rows that the one before kept; all but the last return
 the columns of documents, whatever they are named. n_chars follows the text.
 
-A row goes through its operator whole, as one struct beside the columns that the operator reads, so a verdict is that
-row's own: rows with a null id, or one that other rows have too, are judged each by itself. Null texts have no words and fail the
+A row goes through its operator whole: its columns are numbered, so no name can clash with a result's, and the operator hands each of them
+on, the text as the one copy that it reads. So a verdict is that row's own: rows with a null id, or one that other rows have too, are judged each by itself. Null texts have no words and fail the
 quality rules. Of equal rows, near_duplicates keeps one. Empty tables stay empty.
 """
 
@@ -19,45 +19,44 @@ from tidegraph.llm import ngram_join, pareto_mix, robust_quality, sentence_piece
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
-def with_row(docs: DataFrame, *needed: str) -> tuple[DataFrame, str]:
-    """The needed columns and the whole row as a struct, whose name no column has."""
-    name = "row"
-    while name in docs.columns:
-        name += "_"
-    return docs.select(*needed, F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(name)), name
+def numbered(docs: DataFrame) -> tuple[DataFrame, dict[str, str], tuple[str, ...]]:
+    """The columns as c0, c1 ..., what each is now called, and all of these names but the id's."""
+    at = {c: f"c{i}" for i, c in enumerate(docs.columns)}
+    return docs.select(*[F.col(f"`{c}`").alias(n) for c, n in at.items()]), at, tuple(n for c, n in at.items() if c != "doc_id")
 
 
-def unpacked(rows: DataFrame, name: str, docs: DataFrame, **changed) -> DataFrame:
-    return rows.select(*[changed[c].alias(c) if c in changed else F.col(f"{name}.`{c}`").alias(c) for c in docs.columns])
+def named(rows: DataFrame, at: dict[str, str], **changed) -> DataFrame:
+    return rows.select(*[changed.get(c, F.col(n)).alias(c) for c, n in at.items()])
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules or the outlier test reject go."""
-    rows, name = with_row(docs, "doc_id", "text", "lang", "source")
-    return unpacked(robust_quality.judge(rows, keep=(name,)).where("kept"), name, docs)
+    rows, at, others = numbered(docs)
+    return named(robust_quality.judge(rows, at["doc_id"], at["text"], at["lang"], at["source"], keep=others).where("kept"), at)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group stays, that with the least id. Five-word shingles, similarity of 0.8."""
-    rows, name = with_row(docs, "doc_id", "text")
-    return unpacked(ngram_join.similar_groups(rows, k=5, percent=80, keep=(name,)).where("first"), name, docs)
+    rows, at, others = numbered(docs)
+    return named(ngram_join.similar_groups(rows, at["doc_id"], at["text"], k=5, percent=80, keep=others).where("first"), at)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages of 20 words or more that occur earlier are cut out; a text without any stays as it was, one of nothing else goes."""
-    rows, name = with_row(docs, "doc_id", "text")
-    marked = substring_dedup.mark_repeats(rows, keep=(name,)).where("n_removed = 0 or n_removed < n_words")
-    changed = {"text": F.when(F.col("n_removed") > 0, F.col("kept_text")).otherwise(F.col(f"{name}.text"))}
-    if "n_chars" in docs.columns:
-        changed["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col(f"{name}.n_chars"))
-    return unpacked(marked, name, docs, **changed)
+    rows, at, others = numbered(docs)
+    marked = substring_dedup.mark_repeats(rows, at["doc_id"], at["text"], keep=others).where("n_removed = 0 or n_removed < n_words")
+    cut_out = F.col("n_removed") > 0
+    changed = {"text": F.when(cut_out, F.col("kept_text")).otherwise(F.col(at["text"]))}
+    if "n_chars" in at:
+        changed["n_chars"] = F.when(cut_out, F.length("kept_text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col(at["n_chars"]))
+    return named(marked, at, **changed)
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it."""
-    rows, name = with_row(docs, "doc_id", "text", "source")
-    taken = pareto_mix.mix(rows, keep=(name,)).where("copies > 0")
-    return unpacked(taken.select(name, F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))), name, docs)
+    rows, at, others = numbered(docs)
+    taken = pareto_mix.mix(rows, at["doc_id"], at["text"], at["source"], keep=others).where("copies > 0")
+    return named(taken.select(*at.values(), F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))), at)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
