@@ -16,6 +16,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -74,6 +75,11 @@ def with_blocks(docs: DataFrame, id_col: str, text_col: str, block_bytes: int |
     return docs.withColumn("_block", F.when(key.isNull(), 0).otherwise(block).cast("long")), max(1, (len(edges) + 1) * fine)
 
 
+def ordered(table: pa.Table) -> pa.Table:
+    """A block's rows by id and text, null ids first: one order at each reading, but for rows that agree on both."""
+    return table.take(pc.sort_indices(table, [("_id", "ascending"), ("_text", "ascending")], null_placement="at_start"))
+
+
 def part_edges(keys: np.ndarray, parts: int) -> np.ndarray:
     """Where each part's keys begin among sorted keys; parts split the hash range evenly."""
     firsts = np.array([(i << 64) // parts for i in range(parts)], dtype=np.uint64)

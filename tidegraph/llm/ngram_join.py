@@ -32,26 +32,25 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from tidegraph.functions.session import cut, stored
-from tidegraph.llm.blocks import exchange, short_keys, sums, totals_of, with_blocks
+from tidegraph.llm.blocks import exchange, ordered, short_keys, sums, totals_of, with_blocks
 from tidegraph.functions.keyed import spread
 from tidegraph.llm.textpack import U, by_doc, carried, mix, per_doc, shingle_sets, words_of
 from tidegraph.operators.baselines import hook_contract_components
 from tidegraph.operators.primitives import all_of
 
 LOCAL = 20_000
+PLACE = 28  # bits of a row number below its block's number
 WORDS = 8  # 64-bit words of a set's parity bitmap
 
 
-def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fold: bool, block_bytes: int | None, keep: tuple[str, ...] = ()) -> DataFrame:
-    """One row a document: rid (a row number), id, keep columns (named by `carried`), n, sig1, sig2, gid, tokens and places (indexed prefix), shingles (where tokens are)."""
+def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fold: bool, block_bytes: int | None, keep: tuple[str, ...] = ()) -> tuple[DataFrame, DataFrame]:
+    """The documents in blocks, with keep columns (named by `carried`), and their sets, one row a document: rid (its block and its place there), id, n, sig1, sig2, gid, tokens and places (indexed prefix), shingles (where tokens are)."""
     picked = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), *[F.col(f"`{c}`").alias(x) for c, x in zip(keep, carried(keep, text_col), strict=True) if x != "_text"])
     blocked, blocks = with_blocks(picked, "_id", "_text", block_bytes)
     parts = 1 << (max(1, blocks // 2) - 1).bit_length()
     mask = short_keys(parts)  # keys taken for one another make frequencies larger, never smaller: only the index grows
     schema = T._parse_datatype_string("rid long, n long, a long, sig1 long, sig2 long, gid long, tokens array<long>, places array<int>, shingles array<long>, bits array<long>")
-    fields = [f for f in picked.schema if f.name != "_text" or text_col in keep]
-    schema = T.StructType([schema[0], *fields, *schema[1:]])
-    passed = [f.name for f in fields]  # the id first
+    schema = T.StructType([schema[0], picked.schema["_id"], *schema[1:]])
 
     def ask(table: pa.Table) -> dict:
         _, h = shingle_sets(words_of(table["_text"], fold), k)
@@ -60,6 +59,7 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
 
     def finish(table: pa.Table, said: dict) -> pa.Table:
         rows = table.num_rows
+        table = ordered(table)
         doc, h = shingle_sets(words_of(table["_text"], fold), k)
         _, inverse = np.unique(h & mask, return_inverse=True)
         df = totals_of(said.get(0, {}))[inverse] if len(h) else np.zeros(0, np.uint64)
@@ -82,13 +82,27 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, fol
         lists = lambda at, values: pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), values)
         signed = lambda x: pa.array(x.astype(np.uint64).view(np.int64))
         block = table["_block"][0].as_py() if rows else 0
-        cols = [pa.array((block << 28) + np.arange(rows)), *[table[c] for c in passed], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
+        cols = [pa.array((block << PLACE) + np.arange(rows)), table["_id"], pa.array(n), pa.array(common), signed(add(mix(h))), signed(add(mix(h ^ U(0xA5A5A5A5A5A5A5A5)))), signed(gid)]
         cols += [lists(found, signed(rare[index])), lists(found, pa.array((place - np.repeat(n - common, n))[index].astype(np.int32))), lists(kept, signed(h[full]))]
         has = np.diff(found) > 0
         cols.append(lists(np.append(0, np.cumsum(has)) * WORDS, signed(bits[np.repeat(has, WORDS)])))
-        return pa.Table.from_arrays(cols, names=["rid", *passed, "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
+        return pa.Table.from_arrays(cols, names=["rid", "_id", "n", "a", "sig1", "sig2", "gid", "tokens", "places", "shingles", "bits"])
 
-    return exchange(blocked, ask, sums, finish, schema, parts, True)
+    return blocked, exchange(blocked, ask, sums, finish, schema, parts, True)
+
+
+def _beside(blocked: DataFrame, verdicts: DataFrame) -> DataFrame:
+    """The documents in blocks with their verdicts, of which every rid has one."""
+    added = verdicts.schema.fieldNames()[2:]
+    schema = T.StructType([*[f for f in blocked.schema if f.name != "_block"], *[verdicts.schema[c] for c in added]])
+
+    def put(rows: pa.Table, said: pa.Table) -> pa.Table:
+        rows, said = ordered(rows).drop_columns("_block"), said.sort_by("place")
+        for c in added:
+            rows = rows.append_column(c, said[c])
+        return rows
+
+    return blocked.groupBy("_block").cogroup(verdicts.groupBy("block")).applyInArrow(put, schema)
 
 
 def _needed(a: Column, b: Column, percent: int) -> Column:
@@ -126,7 +140,8 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """One row a document: id, keep columns, n_shingles, component_id (least id reachable by links), first (one row a component)."""
     if {"n_shingles", "component_id", "first"} & {id_col, *keep}:
         raise ValueError("columns clash with results: n_shingles, component_id, first")
-    sets = stored(_sets(docs, id_col, text_col, k, percent, fold, block_bytes, keep), "shingle-sets")
+    blocked, sets = _sets(docs, id_col, text_col, k, percent, fold, block_bytes, keep)
+    sets = stored(sets, "shingle-sets")
     some = sets.where("n > 0").select("rid", "_id", "n", "sig1", "sig2")
     classes = cut(some.groupBy("sig1", "sig2").agg(F.min("rid").alias("rep"), F.count("*").alias("copies")))
     spare = some.join(classes.where("copies > 1").select("sig1", "sig2", "rep"), ["sig1", "sig2"]).where("rid <> rep").select("rid")
@@ -171,5 +186,6 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     named, least = spread(named, least, ["comp"])
     out = named.join(least, ["comp", "_salt"]).withColumn("first", F.col("rid") == F.coalesce("r1", "r2"))
     if keep:
-        out = sets.select("rid", *carried(keep, text_col)).join(out, "rid")
+        place = F.col("rid").bitwiseAND((1 << PLACE) - 1).alias("place")
+        out = _beside(blocked, out.select(F.shiftright("rid", PLACE).alias("block"), place, "n", "component_id", "first"))
     return out.select(F.col("_id").alias(id_col), *[F.col(x).alias(c) for x, c in zip(carried(keep, text_col), keep, strict=True)], F.col("n").alias("n_shingles"), "component_id", "first")

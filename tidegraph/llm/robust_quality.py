@@ -130,10 +130,17 @@ def _estimates(floor: float, scale: float):
 
 
 def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source", h: float = 0.75, steps: int = 5, floor: float = 0.06, reject: float = 1e-7, min_group: int = 40, min_words: int = 10, repeat_percent: int = 20, keep: tuple[str, ...] = ()) -> DataFrame:
-    """One row a document: id, keep columns, the statistics, base_failed, distance2 (null: base rules failed or no fit), kept."""
-    stats = text_statistics(docs, text_col, {id_col: "_id", lang_col: "_lang", source_col: "_source"}, keep)
-    stats = stats.withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
-    stats = stored(stats.select("*", *[x.alias(n) for n, x in zip(FEATURES, features(), strict=True)]), "quality-stats")
+    """One row a document: id, keep columns, the statistics, base_failed, distance2 (null: base rules failed or no fit), kept.
+
+    Only statistics are stored. With keep columns, documents are read and measured a second time beside the final estimates, so no text is written or shuffled.
+    """
+    named = {id_col: "_id", lang_col: "_lang", source_col: "_source"}
+
+    def measured(carry: tuple[str, ...]) -> DataFrame:
+        base_failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words"))
+        return text_statistics(docs, text_col, named, carry).select("*", base_failed.alias("base_failed"), *[x.alias(n) for n, x in zip(FEATURES, features(), strict=True)])
+
+    stats = stored(measured(()), "quality-stats")
     fit = ~F.col("base_failed")
     sizes = stats.where(fit).groupBy("_lang", "_source").agg(F.count("*").alias("n_ls"))
     big = F.col("n_ls") >= min_group
@@ -158,7 +165,7 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
         sums = attach(near, cut(upto.withColumnRenamed("g", "_g")), {"g": "_g"}).where("bin <= last").groupBy("g").agg(F.count("*").alias("n"), F.array(*[F.sum(x) for x in FEATURES]).alias("s1"), F.array(*[F.sum(F.col(FEATURES[i]) * F.col(FEATURES[j])) for i, j in cross]).alias("s2"))
         params = cut(sums.mapInPandas(_estimates(floor, consistent if step == steps - 1 else 1.0), "g string, m array<double>, inv array<double>"))
     known = cut(sizes.join(params, "g").select("l", "s", "m", "inv"))
-    out = attach(stats, known, {"_lang": "l", "_source": "s"}, "left")
+    out = attach(measured(keep) if keep else stats, known, {"_lang": "l", "_source": "s"}, "left")
     d2 = F.when(fit, _distance())
     ok = fit & (F.coalesce(d2, F.lit(0.0)) <= F.lit(chi2_quantile(1 - reject, P)))
     return out.select(F.col("_id").alias(id_col), *[F.col(n).alias(c) for n, c in zip(carried(keep, text_col), keep, strict=True)], "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", ok.alias("kept"), d2.alias("distance2"))

@@ -24,12 +24,11 @@ from itertools import compress
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tidegraph.llm.blocks import ADDRESS, earlier, earlier_of, exchange, with_blocks
+from tidegraph.llm.blocks import ADDRESS, earlier, earlier_of, exchange, ordered, with_blocks
 from tidegraph.llm.textpack import carried, windows, words_of
 
 FACTOR = "array<struct<start:int,words:int,block:long,word:long>>"
@@ -103,9 +102,6 @@ def mark_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     if factors:
         schema = schema.add(T.StructField("factors", T._parse_datatype_string(FACTOR)))
 
-    def ordered(table: pa.Table) -> pa.Table:
-        return table.take(pc.sort_indices(table, [("_id", "ascending"), ("_text", "ascending")], null_placement="at_start"))
-
     def ask(table: pa.Table) -> dict:
         h, at = windows(words_of(ordered(table)["_text"]), k)
         keys, first = np.unique(h, return_index=True)
