@@ -38,7 +38,7 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     be planned by it). Cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = scratch_path(spark, label)
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
