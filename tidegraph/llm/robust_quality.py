@@ -35,6 +35,7 @@ SYMBOLS[list(b"#*$%&|<>")] = 1
 STATS = "n_words long, word_chars long, n_symbols long, n_lines long, n_dup_lines long, n_repeat_words long"
 FEATURES = ("x0", "x1", "x2", "x3")
 P = len(FEATURES)
+PIECE = 500_000  # bytes of text measured at a time: a dozen arrays of eight times as many bytes are alive at once
 
 
 def _within(keys: np.ndarray, doc: np.ndarray) -> np.ndarray:
@@ -42,7 +43,7 @@ def _within(keys: np.ndarray, doc: np.ndarray) -> np.ndarray:
 
 
 def measure(batches: Iterator[pa.RecordBatch], with_text: bool = False) -> Iterator[pa.RecordBatch]:
-    for part in pieces(batches, "_text"):
+    for part in pieces(batches, "_text", PIECE):
         w = words_of(part.column("_text"))
         new_line = w.data == 10
         words = w.counts
