@@ -2,6 +2,7 @@
 
 from datetime import datetime, timedelta
 
+from tidegraph.operators import levels
 from tidegraph.plans import graphs
 from tidegraph.plans import queries as graph_queries
 
@@ -29,3 +30,18 @@ def test_dense_events_link_by_chains(spark, tmp_path, monkeypatch):
     assert got == components_of(all_pairs)
     monkeypatch.setattr(graph_queries, "labels_of", lambda edges: edges)
     assert graph_queries.queries()["cc_cooccurrence"](spark, str(tmp_path)).count() < len(rows) < len(all_pairs)
+
+
+def test_leaves_at_a_hub_are_paired_without_a_shuffle(spark):
+    arcs = [(0, i) for i in range(1, 30)] + [(40, 1), (40, 2), (2, 3)]
+    rows = [(a, b, 0, True, 0, True) for p in arcs for a, b in (p, p[::-1])] + [(50, 1, 1, True, 0, True), (1, 50, 0, True, 1, True)]
+    leveled = spark.createDataFrame(rows, "src long, dst long, sl int, sa boolean, dl int, da boolean")
+    near = {}
+    for a, b in arcs:
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    want = sorted((v, u) for v in near for u in {x for w in near[v] for x in near[w]} - near[v] - {v})
+    out = levels.same_level_two_hop(leveled)
+    assert sorted(map(tuple, out.collect())) == want
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.lstrip().startswith("Union")
