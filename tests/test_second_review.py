@@ -2,7 +2,7 @@
 
 from datetime import datetime, timedelta
 
-from tidegraph.operators import levels
+from tidegraph.operators import baselines, levels
 from tidegraph.plans import graphs
 from tidegraph.plans import queries as graph_queries
 
@@ -32,6 +32,14 @@ def test_dense_events_link_by_chains(spark, tmp_path, monkeypatch):
     assert graph_queries.queries()["cc_cooccurrence"](spark, str(tmp_path)).count() < len(rows) < len(all_pairs)
 
 
+def test_local_components_take_graphs_beyond_the_bound(spark):
+    pairs = [(i, i + 1) for i in range(60) if i % 7] + [(100, 3), (100, 100), (-5, 59)]
+    edges = spark.createDataFrame([*pairs, (None, 4)], "u long, v long")
+    want = components_of([p for p in pairs if p[0] != p[1]])
+    for most in (20, 100):  # arcs: above both; vertices: above one
+        assert {r["vertex"]: r["component"] for r in baselines.local_components(edges, max_arcs=most).labels.collect()} == want
+
+
 def test_leaves_at_a_hub_are_paired_without_a_shuffle(spark):
     arcs = [(0, i) for i in range(1, 30)] + [(40, 1), (40, 2), (2, 3)]
     rows = [(a, b, 0, True, 0, True) for p in arcs for a, b in (p, p[::-1])] + [(50, 1, 1, True, 0, True), (1, 50, 0, True, 1, True)]
