@@ -1,5 +1,6 @@
 """What the second review found in the graph queries: each test fails on the code as it was then."""
 
+import random
 from datetime import datetime, timedelta
 
 from tidegraph.operators import baselines, levels
@@ -53,3 +54,25 @@ def test_leaves_at_a_hub_are_paired_without_a_shuffle(spark):
     assert sorted(map(tuple, out.collect())) == want
     plan = out._jdf.queryExecution().optimizedPlan().toString()
     assert plan.lstrip().startswith("Union")
+
+
+def test_candidates_in_arrays_link_as_single_rows_do(spark, monkeypatch):
+    rng = random.Random(3)
+    arcs = {p for _ in range(150) for a, b in [rng.sample(range(70), 2)] for p in ((a, b), (b, a))}
+    level, active = {v: rng.choice([0, 0, 0, 1]) for v in range(70)}, {v: rng.random() < 0.8 for v in range(70)}
+    edges = spark.createDataFrame(sorted(arcs), "src long, dst long")
+    verts = spark.createDataFrame([(v, level[v], active[v]) for v in {a for a, _ in arcs}], "vid long, level int, active boolean")
+    grouped = []
+    whole = levels.picked_of_lists
+    monkeypatch.setattr(levels, "picked_of_lists", lambda *x: grouped.append(1) or whole(*x))
+    for pick in ("min_id", "hash"):
+        cfg = levels.LevelConfig(beta0=5, pick=pick)
+        state = levels.State(edges, verts, levels.plan_budget(70, 150, cfg), cfg, iteration=2)
+        found = []
+        for most, large in ((10**6, 10**6), (0, 10**6), (10**6, 0)):
+            monkeypatch.setattr(levels, "PACKED", most)
+            monkeypatch.setattr(levels, "LARGE", large)
+            found.append(sorted(map(tuple, levels.link_leveled(state, state.seen).collect())))
+        assert found[0] == found[1] == found[2] and len(found[0]) == len({x[:2] for x in found[0]}) > len(arcs)
+        assert all(x[2:] == (level[x[0]], active[x[0]], level[x[1]], active[x[1]]) for x in found[0])
+    assert len(grouped) == 4
