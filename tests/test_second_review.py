@@ -1,9 +1,10 @@
 """What the second review found in the graph queries: each test fails on the code as it was then."""
 
 import random
+from dataclasses import replace
 from datetime import datetime, timedelta
 
-from tidegraph.operators import baselines, levels
+from tidegraph.operators import baselines, levels, measures
 from tidegraph.plans import graphs
 from tidegraph.plans import queries as graph_queries
 
@@ -76,3 +77,15 @@ def test_candidates_in_arrays_link_as_single_rows_do(spark, monkeypatch):
         assert found[0] == found[1] == found[2] and len(found[0]) == len({x[:2] for x in found[0]}) > len(arcs)
         assert all(x[2:] == (level[x[0]], active[x[0]], level[x[1]], active[x[1]]) for x in found[0])
     assert len(grouped) == 4
+
+
+def test_a_path_is_followed_without_written_tables(spark, monkeypatch):
+    maps = [spark.createDataFrame(m, "old long, new long") for m in ([(1, 2), (4, 5)], [(2, 9), (5, 4)], [(7, 8)])]
+    monkeypatch.setattr(measures, "cut", None)
+    assert measures.stand_ins([1, 2, 3, 4, 1], maps) == [9, 9, 3, 4, 9]
+    arcs = spark.createDataFrame([(a, b) for i in range(4) for a, b in ((i, i + 1), (i + 1, i))], "src long, dst long")
+    verts = spark.createDataFrame([(v, 0, True) for v in range(5)], "vid long, level int, active boolean")
+    cfg = levels.LevelConfig(beta0=8)
+    state = levels.State(arcs, verts, levels.plan_budget(5, 4, cfg), cfg)
+    monkeypatch.setattr(levels, "step", lambda s: replace(s, log=[*s.log, *maps]))
+    assert [r["vertices"] for r in measures.coin_audit(state, list(range(5)), most=1)][0] == 5
