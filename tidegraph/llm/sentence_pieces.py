@@ -14,13 +14,15 @@ share a merge score (runs of blanks), that test has no order to go by, and such
 neighbours (a run of n blanks costs n log n).
 
 Cases: null and empty texts have no tokens. Characters without a piece become their bytes' pieces. Repeated texts cost
-a look-up. Very long words are chunks like others; memory follows the slice (about 2 MB of text) and the longest text.
+a look-up. Very long words are chunks like others; memory follows the slice (about 500 KB of text) and the longest text, and
+what a slice leaves free goes back to the system.
 Decoding undoes encoding except that U+2581 itself decodes as a blank, as the model says.
 """
 
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from functools import lru_cache
 from heapq import heapify, heappop, heappush
 
@@ -29,11 +31,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tidegraph.llm.textpack import mix, pieces, prefix_hash, span_hash
+from tidegraph.llm.textpack import mix, pieces, prefix_hash, release, span_hash
 
 MARK = "▁"
 UNKNOWN = -1
-CACHE = 1_200_000  # chunks a worker remembers, about 40 bytes each
+CACHE = 1_200_000  # chunks a worker remembers, about 22 bytes each
+PIECE = 500_000  # bytes of text encoded at a time
+RELEASE = 4_000_000  # bytes of text after which free memory is given back
 PAIR_BITS = 21  # pairs of tokens a worker remembers, 9 bytes each
 
 
@@ -92,8 +96,8 @@ class PieceModel:
 
     def forget(self) -> None:
         """Empties the store of encoded chunks: hashes in order, and each one's slice of ids."""
-        self.known, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
-        self.store = np.zeros(0, np.int32)
+        self.known, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.uint32), np.zeros(0, np.uint32)
+        self.store = np.zeros(0, np.uint16 if len(self.text) <= 1 << 16 else np.int32)
 
     def merge(self, text: str, last_merge: bool = False):
         """Merges neighbours, best score first and leftmost of equals. With last_merge: the two pieces of the merge that makes the whole text, or None if it is not made."""
@@ -300,14 +304,13 @@ class PieceModel:
             said = self.learn([joined[a:b].decode().replace(" ", MARK) for a, b in zip(starts[at[new]].tolist(), ends[at[new]].tolist(), strict=True)])
             sizes = np.array([len(x) for x in said])
             spot = len(self.store) + np.cumsum(sizes) - sizes
-            self.store = np.concatenate([self.store, np.array([i for x in said for i in x], np.int32)])
-            known = np.concatenate([self.known, keys[new]])
-            by = np.argsort(known, kind="stable")
-            self.known, self.at, self.size = known[by], np.concatenate([self.at, spot])[by], np.concatenate([self.size, sizes])[by]
+            self.store = np.concatenate([self.store, np.array([i for x in said for i in x], self.store.dtype)])
+            by = place[new]
+            self.known, self.at, self.size = np.insert(self.known, by, keys[new]), np.insert(self.at, by, spot), np.insert(self.size, by, sizes)
             place = np.searchsorted(self.known, keys)
-        size = self.size[place][inverse]
+        size = self.size[place][inverse].astype(np.int64)
         upto = np.cumsum(size)
-        ids = self.store[np.arange(upto[-1]) - np.repeat(upto - size, size) + np.repeat(self.at[place][inverse], size)]
+        ids = self.store[np.arange(upto[-1]) - np.repeat(upto - size, size) + np.repeat(self.at[place][inverse].astype(np.int64), size)].astype(np.int32)
         return ids, np.append(0, upto)[np.searchsorted(starts, offs)]
 
     def decode(self, ids: np.ndarray, offs: np.ndarray) -> tuple[bytes, np.ndarray]:
@@ -373,6 +376,26 @@ def _model(serialized: bytes) -> PieceModel:
     return PieceModel(serialized)
 
 
+def encoded(batches: Iterator[pa.RecordBatch], model: PieceModel, kept: int, check: bool) -> Iterator[pa.RecordBatch]:
+    """The first `kept` columns of batches that have a column _text, n_tokens, ids and, with check, round_trip; in slices, after which free memory is given back."""
+    names, done = ["n_tokens", "ids", *(["round_trip"] if check else [])], 0
+    for part in pieces(batches, "_text", PIECE):
+        texts = part.column("_text").to_pylist()
+        ids, offs = model.encode(texts)
+        cols = [*part.columns[:kept], pa.array(np.diff(offs), pa.int64()), pa.ListArray.from_arrays(pa.array(offs.astype(np.int32)), pa.array(ids))]
+        if check:
+            data, at = model.decode(ids, offs)
+            cols.append(pa.array([data[a:b] == (t or "").encode() for a, b, t in zip(at[:-1].tolist(), at[1:].tolist(), texts, strict=True)], pa.bool_()))
+            del data, at
+        yield pa.RecordBatch.from_arrays(cols, names=[*part.schema.names[:kept], *names])
+        done += sum(len(t or "") for t in texts)
+        del part, texts, ids, offs, cols
+        if done > RELEASE:
+            release()
+            done = 0
+    release()
+
+
 def encode(docs: DataFrame, model_path: str, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), check: bool = True) -> DataFrame:
     """keep columns, n_tokens, ids and, with check, round_trip (ids decode to the text).
 
@@ -387,15 +410,8 @@ def encode(docs: DataFrame, model_path: str, text_col: str = "text", keep: tuple
     fields = [f"{f.name} {f.dataType.simpleString()}" for f in picked.schema if f.name != "_text"]
 
     def run(batches):
-        model = _model(shared.value)
-        for part in pieces(batches, "_text"):
-            texts = part.column("_text").to_pylist()
-            ids, offs = model.encode(texts)
-            cols = [*part.columns[: len(keep)], pa.array(np.diff(offs), pa.int64()), pa.ListArray.from_arrays(pa.array(offs.astype(np.int32)), pa.array(ids))]
-            if check:
-                data, at = model.decode(ids, offs)
-                cols.append(pa.array([data[a:b] == (t or "").encode() for a, b, t in zip(at[:-1].tolist(), at[1:].tolist(), texts, strict=True)], pa.bool_()))
-            yield pa.RecordBatch.from_arrays(cols, names=[*part.schema.names[: len(keep)], *names])
+        release()  # an operator that used this worker before may have left memory free
+        yield from encoded(batches, _model(shared.value), len(keep), check)
 
     out = picked.mapInArrow(run, ", ".join([*fields, "n_tokens long", "ids array<int>", *(["round_trip boolean"] if check else [])]))
     return out.select(*[F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)], *names)

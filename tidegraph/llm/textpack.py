@@ -9,6 +9,7 @@ read off prefix sums and finished by an avalanche mix: equal spans have equal ha
 
 from __future__ import annotations
 
+import ctypes
 from dataclasses import dataclass
 
 import numpy as np
@@ -43,6 +44,14 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> U(31))
 
 
+def release() -> None:
+    """Gives free memory back to the system; Arrow's pool and the C library else keep it for this process alone."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def text_bytes(column) -> tuple[np.ndarray, np.ndarray]:
     """All bytes of a string column, and offsets (one more than rows); null counts as empty."""
     if isinstance(column, pa.ChunkedArray):
