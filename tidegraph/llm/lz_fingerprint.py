@@ -19,6 +19,8 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -27,23 +29,35 @@ from pyspark.sql import functions as F
 
 from tidegraph.functions.session import cut
 from tidegraph.llm.blocks import with_blocks
-from tidegraph.llm.textpack import prefix_hash, span_hash
+from tidegraph.llm.textpack import pieces, prefix_hash, span_hash
 from tidegraph.operators.primitives import global_index
 
 K = 64
+PIECE = 500_000  # bytes of texts whose rows are made together
+CHUNK = 250_000  # bytes of texts hashed in one pass
 MOST_BLOCKS = 500_000  # id ranges whose tops are broadcast
 
 
-def phrase_ends(data: bytes, trie: dict[int, int], node: int, ends: list[int], at: int) -> int:
-    """Parses data from byte `at` on; trie maps (node | byte) to the node below. Returns the open node."""
-    get, add = trie.get, ends.append
-    for i, c in enumerate(data[at:] if at else data, at + 1):
-        key = node | c
-        node = get(key, -1)
-        if node < 0:
-            trie[key] = (len(trie) + 1) << 8
-            add(i)
+def phrases(data: bytes, trie: dict[int, int], node: int) -> tuple[int, array]:
+    """Parses data; trie maps (node + byte) to the node below. Returns the open node, and for each phrase the bytes of data after its end."""
+    rest = iter(data)
+    left, get, after = rest.__length_hint__, trie.get, array("q")
+    add, fresh = after.append, (len(trie) + 1) << 8
+    for c in rest:
+        key = node + c
+        node = get(key)
+        if node is None:
+            trie[key] = fresh
+            fresh += 256
+            add(left())
             node = 0
+    return node, after
+
+
+def phrase_ends(data: bytes, trie: dict[int, int], node: int, ends: list[int], at: int) -> int:
+    """Parses data from byte `at` on, and adds where phrases end. Returns the open node."""
+    node, after = phrases(data[at:] if at else data, trie, node)
+    ends.extend(len(data) - x for x in after)
     return node
 
 
@@ -67,25 +81,95 @@ def as_text(sig: np.ndarray) -> str:
 
 
 class Parsed:
-    """A text, its fingerprint, and the parse of its first half, from which an edited form goes on."""
+    """A text, and the parse of its first half, from which an edited form goes on.
+
+    A parse is data and its phrases, as parts: (bytes up to the end of the part, bytes from each phrase's end to there).
+    """
 
     def __init__(self, text: str):
         self.half = len(text) // 2
         self.chars = len(text)
         self.head = text[: len(text) - self.half].encode()
-        trie: dict[int, int] = {}
-        ends: list[int] = []
-        self.node = phrase_ends(self.head, trie, 0, ends, 0)
-        self.trie, self.ends = trie.copy(), ends.copy()
-        full = text.encode()
-        phrase_ends(full, trie, self.node, ends, len(self.head))
-        self.signature = signature(full, ends)
-
-    def edited(self, after: str) -> tuple[bytes, np.ndarray]:
-        """The text with its last half replaced by the head of `after`, and the fingerprint of that."""
-        data = self.head + after[: self.half].encode()
-        phrase_ends(data, self.trie, self.node, self.ends, len(self.head))
-        return data, signature(data, self.ends)
+        self.trie: dict[int, int] = {}
+        self.node, after = phrases(self.head, self.trie, 0)
+        self.part = (len(self.head), after)
+
+    def gone_on(self, tail: bytes, trie: dict[int, int]) -> tuple[bytes, list[tuple[int, array]]]:
+        data = self.head + tail
+        return data, [self.part, (len(data), phrases(tail, trie, self.node)[1])]
+
+    def whole(self, text: str) -> tuple[bytes, list[tuple[int, array]]]:
+        """The parse of the text itself."""
+        return self.gone_on(text[len(text) - self.half :].encode(), self.trie.copy())
+
+    def edited(self, after: str) -> tuple[bytes, list[tuple[int, array]]]:
+        """The parse of the text with its last half replaced by the head of `after`; once only, as it writes to the dictionary."""
+        return self.gone_on(after[: self.half].encode(), self.trie)
+
+
+class Signatures:
+    """Signatures of many texts, one after another: that of text i is values[offs[i] : offs[i + 1]]."""
+
+    def __init__(self, values: np.ndarray, counts: np.ndarray):
+        self.values, self.offs = values, np.append(0, np.cumsum(counts))
+
+    def __getitem__(self, i: int) -> np.ndarray:
+        return self.values[self.offs[i] : self.offs[i + 1]]
+
+    def keyed(self, which: np.ndarray) -> np.ndarray:
+        """The hashes of the texts `which`, below the place in `which`."""
+        counts = self.offs[which + 1] - self.offs[which]
+        ends = np.cumsum(counts)
+        at = np.arange(ends[-1]) + np.repeat(self.offs[which] - ends + counts, counts)
+        return np.repeat(np.arange(len(which), dtype=np.uint64) << np.uint64(32), counts) | self.values[at]
+
+
+def signatures(parses: list[tuple[bytes, list[tuple[int, array]]]], first: list[np.ndarray], k: int = K) -> Signatures:
+    """The given first signatures, and those of the parses, about CHUNK bytes of text (one text at least) in a numpy pass."""
+    values, counts = [np.zeros(0, np.uint32), *first], [np.array([len(x) for x in first], np.int64)]
+    a = 0
+    while a < len(parses):
+        b, size = a + 1, len(parses[a][0])
+        while b < len(parses) and size + len(parses[b][0]) <= CHUNK:
+            size += len(parses[b][0])
+            b += 1
+        data = np.frombuffer(b"".join([d for d, _ in parses[a:b]]), np.uint8)
+        begin = np.append(0, np.cumsum([len(d) for d, _ in parses[a:b]]))
+        found = np.array([sum(len(x) for _, x in parts) for _, parts in parses[a:b]])
+        parts = [(off + upto, x) for off, (_, own) in zip(begin[:-1].tolist(), parses[a:b], strict=True) for upto, x in own]
+        e = np.repeat([upto for upto, _ in parts], [len(x) for _, x in parts]) - np.concatenate([np.asarray(x) for _, x in parts])
+        s = np.append(0, e[:-1])[: len(e)]
+        firsts = np.cumsum(found) - found
+        s[firsts[found > 0]] = begin[:-1][found > 0]
+        doc = np.repeat(np.arange(b - a, dtype=np.uint64), found)
+        key = np.sort((doc << np.uint64(32)) | (span_hash(prefix_hash(data), s, e) >> np.uint64(32)))
+        key = key[np.append(True, key[1:] != key[:-1])[: len(key)]]
+        least = in_group(key, b - a) < k
+        values.append(key[least].astype(np.uint32))
+        counts.append(np.bincount((key[least] >> np.uint64(32)).astype(np.int64), minlength=b - a))
+        a = b
+    return Signatures(np.concatenate(values), np.concatenate(counts))
+
+
+def in_group(key: np.ndarray, groups: int) -> np.ndarray:
+    """Each sorted key's place among those with the same upper half, a number below `groups`."""
+    group = (key >> np.uint64(32)).astype(np.int64)
+    return np.arange(len(key)) - np.searchsorted(group, np.arange(groups))[group]
+
+
+def likenesses(sigs: Signatures, one: np.ndarray, other: np.ndarray, k: int = K) -> np.ndarray:
+    """likeness of the signatures one[i] and other[i], for all i."""
+    n = len(one)
+    if not n:
+        return np.zeros(0)
+    key = np.sort(np.concatenate([sigs.keyed(one), sigs.keyed(other)]))
+    new = np.append(True, key[1:] != key[:-1])[: len(key)]
+    shared = ~np.append(new[1:], True)[: len(key)][new]
+    key = key[new]
+    least = in_group(key, n) < k
+    pair = (key[least] >> np.uint64(32)).astype(np.int64)
+    total = np.bincount(pair, minlength=n)
+    return np.where(total == 0, 1.0, np.bincount(pair[shared[least]], minlength=n) / np.maximum(total, 1))
 
 
 def fingerprint(text: str | None) -> np.ndarray:
@@ -98,6 +182,33 @@ def fingerprint(text: str | None) -> np.ndarray:
 OUT = "n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
+def compared(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The operator's rows from the ordered stream of its ranges. A text is parsed alone; hashes and likenesses are taken for many rows at once."""
+    wait = None  # the row whose successor is not yet known: id, parse, place of its signature, and between pieces the signature itself
+    for batch in pieces(batches, "_text", PIECE):
+        parses, first, rows = [], [], []  # a row: id, characters, SHA-256, and the places of three signatures: its own, the edited text's, the next text's
+        if wait is not None:
+            first.append(wait[3])
+            wait = (*wait[:2], 0)
+        for own, i, text in zip(batch.column("_own").to_pylist(), batch.column("_id").to_pylist(), batch.column("_text").to_pylist(), strict=True):
+            now, place = Parsed(text), len(first) + len(parses)
+            parses.append(now.whole(text))
+            if wait is not None:
+                of, row, at = wait
+                edited = row.edited(text)
+                parses.append(edited)
+                rows.append((of, row.chars, hashlib.sha256(edited[0]).hexdigest(), at, place + 1, place))
+            wait = (i, now, place) if own else None
+        sigs = signatures(parses, first)
+        if wait is not None:
+            wait = (*wait, sigs[wait[2]].copy())
+        of, chars, sha, at, edit, nxt = map(list, zip(*rows, strict=True)) if rows else ([] for _ in range(6))
+        at, edit, nxt = (np.array(x, np.int64) for x in (at, edit, nxt))
+        text = [pa.array([as_text(sigs[x]) for x in which], pa.string()) for which in (at, edit)]
+        near = [pa.array(likenesses(sigs, at, which), pa.float64()) for which in (edit, nxt)]
+        yield pa.RecordBatch.from_arrays([pa.array(of, batch.schema.field("_id").type), pa.array(chars, pa.int64()), pa.array(sha, pa.string()), *text, *near], names=["_id", *[x.split()[0] for x in OUT.split(", ")]])
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int | None = None) -> DataFrame:
     """One row a document: id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next."""
     lowest = -(1 << 63)
@@ -115,20 +226,4 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     id_type = rows.schema["_id"].dataType
     stream = rows.select("_block", F.lit(1).alias("_own"), "_key", "_id", "_text").unionByName(heads.select(F.col("to").alias("_block"), F.lit(0).alias("_own"), F.lit(lowest).alias("_key"), F.lit(None).cast(id_type).alias("_id"), "_text"))
     stream = stream.repartition("_block").sortWithinPartitions("_block", F.desc("_own"), F.desc("_key"), "_text")
-
-    def run(batches):
-        wait = None  # the row whose successor is not yet known
-        for batch in batches:
-            out: list[list] = [[] for _ in range(7)]
-            for own, i, text in zip(batch.column(1).to_pylist(), batch.column(3).to_pylist(), batch.column(4), strict=True):
-                text = text.as_py()
-                now = Parsed(text)
-                if wait is not None:
-                    of, row = wait
-                    data, sig = row.edited(text)
-                    for place, value in enumerate((of, row.chars, hashlib.sha256(data).hexdigest(), as_text(row.signature), as_text(sig), likeness(row.signature, sig), likeness(row.signature, now.signature))):
-                        out[place].append(value)
-                wait = (i, now) if own else None
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], batch.schema.field(3).type), pa.array(out[1], pa.int64()), *[pa.array(x, pa.string()) for x in out[2:5]], pa.array(out[5], pa.float64()), pa.array(out[6], pa.float64())], names=["_id", *[x.split()[0] for x in OUT.split(", ")]])
-
-    return stream.mapInArrow(run, f"_id {id_type.simpleString()}, {OUT}").withColumnRenamed("_id", id_col)
+    return stream.mapInArrow(compared, f"_id {id_type.simpleString()}, {OUT}").withColumnRenamed("_id", id_col)
